@@ -21,7 +21,9 @@ from __future__ import annotations
 import bisect
 import os
 import re
+import sys
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -38,31 +40,61 @@ _WHOLE = re.compile("<\\||[\x1c-\x1f]")
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
-class Encoder:
-    """Token ids of whole texts.
+class Encoder(dict):
+    """Token ids of whole texts; as a dict, those of chunks.
 
-    The vocabulary's rules never join what white space separates, so the ids of a text are
-    those of its chunks in order; chunks repeat, and a bounded table keeps their ids.
+    The vocabulary's rules never join what white space separates, nor a word's letters and a
+    mark after them, and they read capitals as small letters.  So the ids of a text are those
+    of its chunks in order, and a new chunk often is made of known parts.  The table of chunks
+    is bounded: once full, rarer chunks are encoded each time.
     """
 
-    def __init__(self, path: str, keep: int = 1 << 19):
+    def __init__(self, path: str, keep: int = 1 << 20):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self.model, self.keep, self.ids = Tokenizer.from_file(path), keep, {}
+        self.model, self.keep, self.rare = Tokenizer.from_file(path), keep, {}
+
+    def encode(self, text: str) -> bytes:
+        return pack_ids(self.model.encode(text, add_special_tokens=False).ids)
+
+    def __missing__(self, chunk: str) -> bytes:
+        return self.encode(chunk)  # of a full table
+
+    def parts(self, chunk: str) -> tuple[str, ...]:
+        """Chunks with the same ids, in order."""
+        if len(chunk) > 1 and chunk[-1] in ".," and chunk[:-1].isalpha():
+            return *self.parts(chunk[:-1]), chunk[-1]
+        low = chunk.lower()
+        return (low,) if low != chunk and max(chunk) < "\u0100" and chunk.isalpha() else (chunk,)
+
+    def learn(self, chunks: set[str]) -> None:
+        own = {c: self.parts(c) for c in chunks}
+        new = list({p for v in own.values() for p in v}.difference(self))
+        ids = {c: pack_ids(e.ids) for c, e in zip(new, self.model.encode_batch_fast(new, add_special_tokens=False), strict=True)}
+        own = {c: b"".join([ids[p] if p in ids else self[p] for p in v]) for c, v in own.items()}
+        if len(self) < self.keep:
+            self.update(ids)
+            self.update(own)
+        self.rare = own
 
     def __call__(self, text: str) -> bytes:
         if _WHOLE.search(text):
-            return np.array(self.model.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
-        chunks, ids = text.split(), self.ids
-        if new := {c for c in chunks if c not in ids}:
-            if len(ids) > self.keep:
-                ids.clear()
-                new = set(chunks)
-            new = list(new)
-            for c, e in zip(new, self.model.encode_batch_fast(new, add_special_tokens=False), strict=True):
-                ids[c] = np.array(e.ids, "<u4").tobytes()
-        return b"".join([ids[c] for c in chunks])
+            return self.encode(text)
+        chunks = text.split()
+        self.rare = {}
+        if new := set(chunks).difference(self):
+            self.learn(new)
+            if len(self) >= self.keep:
+                return b"".join([self.rare[c] if c in self.rare else self[c] for c in chunks])
+        return b"".join(map(self.__getitem__, chunks))
+
+
+def pack_ids(ids: list[int]) -> bytes:
+    out = array("I", ids)
+    if sys.byteorder == "big":
+        out.byteswap()
+    return out.tobytes()
 
 
 def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end_id: int = 0) -> DataFrame:
