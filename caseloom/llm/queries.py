@@ -6,9 +6,17 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .language import op8_language_id
+from .licenses import op5_license_scan
 from .packing import op10_best_fit_packing
+from .secrets import op9_secret_scan
+from .toxicity import op2_toxicity
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op2_toxicity": op2_toxicity,
+    "op5_license_scan": op5_license_scan,
+    "op8_language_id": op8_language_id,
+    "op9_secret_scan": op9_secret_scan,
     "op10_best_fit_packing": op10_best_fit_packing,
 }
 
