@@ -40,8 +40,8 @@ _WHOLE = re.compile("<\\||[\x1c-\x1f]")
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
-class Encoder(dict):
-    """Token ids of whole texts; as a dict, those of chunks.
+class Encoder:
+    """Token ids of whole texts.
 
     The vocabulary's rules never join what white space separates, nor a word's letters and a
     mark after them, and they read capitals as small letters.  So the ids of a text are those
@@ -53,14 +53,12 @@ class Encoder(dict):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self.model, self.keep, self.rare = Tokenizer.from_file(path), keep, {}
+        self.model, self.keep = Tokenizer.from_file(path), keep
+        self.ids: dict[str, bytes] = {}
 
     def encode(self, text: str) -> bytes:
         return pack_ids(self.model.encode(text, add_special_tokens=False).ids)
 
-    def __missing__(self, chunk: str) -> bytes:
-        return self.encode(chunk)  # of a full table
-
     def parts(self, chunk: str) -> tuple[str, ...]:
         """Chunks with the same ids, in order."""
         if len(chunk) > 1 and chunk[-1] in ".," and chunk[:-1].isalpha():
@@ -68,26 +66,24 @@ class Encoder(dict):
         low = chunk.lower()
         return (low,) if low != chunk and max(chunk) < "\u0100" and chunk.isalpha() else (chunk,)
 
-    def learn(self, chunks: set[str]) -> None:
+    def learn(self, chunks: set[str]) -> dict[str, bytes]:
+        """The ids of new chunks; they are kept unless the table is full."""
         own = {c: self.parts(c) for c in chunks}
-        new = list({p for v in own.values() for p in v}.difference(self))
+        new = list({p for v in own.values() for p in v}.difference(self.ids))
         ids = {c: pack_ids(e.ids) for c, e in zip(new, self.model.encode_batch_fast(new, add_special_tokens=False), strict=True)}
-        own = {c: b"".join([ids[p] if p in ids else self[p] for p in v]) for c, v in own.items()}
-        if len(self) < self.keep:
-            self.update(ids)
-            self.update(own)
-        self.rare = own
+        own = {c: b"".join([ids[p] if p in ids else self.ids[p] for p in v]) for c, v in own.items()}
+        if len(self.ids) < self.keep:
+            self.ids.update(ids)
+            self.ids.update(own)
+        return own
 
     def __call__(self, text: str) -> bytes:
         if _WHOLE.search(text):
             return self.encode(text)
         chunks = text.split()
-        self.rare = {}
-        if new := set(chunks).difference(self):
-            self.learn(new)
-            if len(self) >= self.keep:
-                return b"".join([self.rare[c] if c in self.rare else self[c] for c in chunks])
-        return b"".join(map(self.__getitem__, chunks))
+        if (new := set(chunks).difference(self.ids)) and (rare := self.learn(new)) and len(self.ids) >= self.keep:
+            return b"".join([rare[c] if c in rare else self.ids[c] for c in chunks])
+        return b"".join(map(self.ids.__getitem__, chunks))
 
 
 def pack_ids(ids: list[int]) -> bytes:
