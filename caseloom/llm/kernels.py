@@ -190,7 +190,7 @@ def ready(spark: SparkSession) -> None:
 
 def plan_bytes(df: DataFrame) -> int:
     """Spark's estimate of a frame's size, from file sizes; it only sizes partitions."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes().toString())
+    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
 
 
 def crc_mod(col: str, n: int) -> Column:
