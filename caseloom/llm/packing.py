@@ -35,6 +35,8 @@ from . import kernels as K
 
 CAPACITY = 2048
 SALTS = 128
+#: Documents whose new words are encoded together.
+GROUP = 64
 #: Whole-text encoding is needed where a chunk's surroundings could matter.
 _WHOLE = re.compile("<\\||[\x1c-\x1f]")
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
@@ -55,6 +57,7 @@ class Encoder:
 
         self.model, self.keep = Tokenizer.from_file(path), keep
         self.ids: dict[str, bytes] = {}
+        self.ends = np.array([(self.model.id_to_token(i) or "").endswith("</w>") for i in range(self.model.get_vocab_size())])
 
     def encode(self, text: str) -> bytes:
         return pack_ids(self.model.encode(text, add_special_tokens=False).ids)
@@ -66,24 +69,40 @@ class Encoder:
         low = chunk.lower()
         return (low,) if low != chunk and max(chunk) < "\u0100" and chunk.isalpha() else (chunk,)
 
+    def encode_words(self, chunks: list[str]) -> list[bytes]:
+        """Ids of each chunk.  Words of letters alone are encoded as one text and cut at the ids that end a word."""
+        plain = [c for c in chunks if c.isalpha()]
+        ids = np.array(self.model.encode(" ".join(plain), add_special_tokens=False).ids, "<u4")
+        cut = np.flatnonzero(self.ends[ids]) + 1
+        if len(cut) != len(plain):
+            return [self.encode(c) for c in chunks]
+        raw, cut = ids.tobytes(), (cut * 4).tolist()
+        of = {c: raw[a:b] for c, a, b in zip(plain, [0, *cut], cut, strict=False)}
+        rest = [c for c in chunks if c not in of]
+        of.update(zip(rest, (pack_ids(e.ids) for e in self.model.encode_batch_fast(rest, add_special_tokens=False)), strict=True))
+        return [of[c] for c in chunks]
+
     def learn(self, chunks: set[str]) -> dict[str, bytes]:
         """The ids of new chunks; they are kept unless the table is full."""
         own = {c: self.parts(c) for c in chunks}
         new = list({p for v in own.values() for p in v}.difference(self.ids))
-        ids = {c: pack_ids(e.ids) for c, e in zip(new, self.model.encode_batch_fast(new, add_special_tokens=False), strict=True)}
+        ids = dict(zip(new, self.encode_words(new), strict=True))
         own = {c: b"".join([ids[p] if p in ids else self.ids[p] for p in v]) for c, v in own.items()}
         if len(self.ids) < self.keep:
             self.ids.update(ids)
             self.ids.update(own)
         return own
 
-    def __call__(self, text: str) -> bytes:
-        if _WHOLE.search(text):
-            return self.encode(text)
-        chunks = text.split()
-        if (new := set(chunks).difference(self.ids)) and (rare := self.learn(new)) and len(self.ids) >= self.keep:
-            return b"".join([rare[c] if c in rare else self.ids[c] for c in chunks])
-        return b"".join(map(self.ids.__getitem__, chunks))
+    def __call__(self, texts: list[str]) -> list[bytes]:
+        chunks = [None if _WHOLE.search(t) else t.split() for t in texts]
+        rare = {}
+        if new := set().union(*[c for c in chunks if c]).difference(self.ids):
+            rare = self.learn(new)
+        if len(self.ids) < self.keep:
+            of = self.ids.__getitem__
+        else:
+            of = lambda c: rare[c] if c in rare else self.ids[c]
+        return [self.encode(t) if c is None else b"".join(map(of, c)) for t, c in zip(texts, chunks, strict=True)]
 
 
 def pack_ids(ids: list[int]) -> bytes:
@@ -101,11 +120,12 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end_id: in
         end = np.array([end_id], "<u4").tobytes()
         for b in batches:
             ids, rows = b.column(0).to_pylist(), []
-            for i, text in enumerate(b.column(1)):
-                own = of(text.as_py() or "") + end
-                for k, at in enumerate(range(0, len(own), 4 * capacity)):
-                    part = own[at : at + 4 * capacity]
-                    rows.append((ids[i], k, at // 4, len(part) // 4, zlib.crc32(part)))
+            for i in range(0, len(ids), GROUP):
+                for j, own in enumerate(of([t or "" for t in b.column(1).slice(i, GROUP).to_pylist()])):
+                    own += end
+                    for k, at in enumerate(range(0, len(own), 4 * capacity)):
+                        part = own[at : at + 4 * capacity]
+                        rows.append((ids[i + j], k, at // 4, len(part) // 4, zlib.crc32(part)))
             if rows:
                 c = list(zip(*rows, strict=True))
                 yield pa.RecordBatch.from_arrays([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int32()), *(pa.array(x, pa.int64()) for x in c[2:])], names=["doc_id", "piece", "start", "length", "ids_crc32"])
