@@ -13,6 +13,7 @@ from .licenses import op5_license_scan
 from .packing import op10_best_fit_packing
 from .secrets import op9_secret_scan
 from .sentences import op1_sentence_dedup
+from .suffixes import op7_suffix_dedup
 from .toxicity import op2_toxicity
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
@@ -21,6 +22,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_simhash": op3_simhash,
     "op5_license_scan": op5_license_scan,
     "op6_jaccard_join": op6_jaccard_join,
+    "op7_suffix_dedup": op7_suffix_dedup,
     "op8_language_id": op8_language_id,
     "op9_secret_scan": op9_secret_scan,
     "op10_best_fit_packing": op10_best_fit_packing,
