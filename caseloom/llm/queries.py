@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .decontam import op4_decontamination
 from .fingerprints import op3_simhash
 from .jaccard import op6_jaccard_join
 from .language import op8_language_id
@@ -20,6 +21,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_sentence_dedup": op1_sentence_dedup,
     "op2_toxicity": op2_toxicity,
     "op3_simhash": op3_simhash,
+    "op4_decontamination": op4_decontamination,
     "op5_license_scan": op5_license_scan,
     "op6_jaccard_join": op6_jaccard_join,
     "op7_suffix_dedup": op7_suffix_dedup,
