@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 _QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 _SQL: dict[str, str] = {}
 #: Modules that register queries when imported.
-MODULES: list[str] = []
+MODULES = ["caseloom.operators.scoring"]
 
 
 def register(key: str, fn: Callable[[SparkSession, str], DataFrame], sql: str | None = None) -> None:
