@@ -33,7 +33,7 @@ from pyspark.sql import functions as F
 
 from . import kernels as K
 
-LENGTH, GRAM = 100, 20
+LENGTH, GRAM = 100, 40
 _LAST = (1 << 63) - 1
 _CHUNK = 1 << 20
 
