@@ -97,19 +97,23 @@ def vector(items: Items, h: np.ndarray) -> tuple[np.ndarray, np.ndarray, float]:
     at, known = items.slots(u)
     idf = np.where(known, items.idf[at], items.top_idf)
     weight = np.sqrt(tf) * idf
-    return at[known] % SLOTS, weight[known], float(np.sqrt((weight**2).sum()))
+    return at[known] % min(SLOTS, len(items.terms)), weight[known], float(np.sqrt((weight**2).sum()))
 
 
-def randomised_svd(spark: SparkSession, rows: list[tuple[np.ndarray, np.ndarray]], rank: int, seed: int = 3) -> np.ndarray:
+def randomised_svd(spark: SparkSession, rows: list[tuple[np.ndarray, np.ndarray]], slots: int, rank: int, seed: int = 3) -> np.ndarray:
     """Right singular vectors (slots x rank) of sparse rows; the rows are spread, what returns has a fixed size."""
-    width = min(rank + 16, SLOTS)
-    omega = np.random.default_rng(seed).normal(size=(SLOTS, width))
+    width = min(rank + 16, slots)
     frame = spark.createDataFrame(pa.table({"s": pa.array([r[0].astype(np.int64).tobytes() for r in rows], pa.binary()), "w": pa.array([r[1].tobytes() for r in rows], pa.binary())}))
     frame = frame.repartition(SKETCHES)
 
-    def over(basis: np.ndarray, sketch: bool) -> np.ndarray:
+    def over(q: np.ndarray | None) -> np.ndarray:
+        sketch = q is None
+        size = slots if sketch else width
+
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            out = np.zeros((SLOTS if sketch else width, width))
+            # The random test matrix comes from its seed, so it isn't sent.
+            basis = np.random.default_rng(seed).normal(size=(slots, width)) if sketch else q
+            out = np.zeros((size, width))
             for b in batches:
                 for s, w in zip(b.column(0), b.column(1), strict=True):
                     s, w = np.frombuffer(s.as_py(), np.int64), np.frombuffer(w.as_py())
@@ -121,13 +125,13 @@ def randomised_svd(spark: SparkSession, rows: list[tuple[np.ndarray, np.ndarray]
             some = np.flatnonzero(np.abs(out).sum(axis=1))
             yield pa.RecordBatch.from_arrays([pa.array([some.tobytes()], pa.binary()), pa.array([out[some].tobytes()], pa.binary())], names=["rows", "values"])
 
-        total = np.zeros((SLOTS if sketch else width, width))
+        total = np.zeros((size, width))
         for r in frame.mapInArrow(run, "rows binary, values binary").toLocalIterator():
             total[np.frombuffer(r["rows"], np.int64)] += np.frombuffer(r["values"]).reshape(-1, width)
         return total
 
-    q, _ = np.linalg.qr(over(omega, True))
-    value, turn = np.linalg.eigh(over(q, False))
+    q, _ = np.linalg.qr(over(None))
+    value, turn = np.linalg.eigh(over(q))
     best = np.argsort(-value)[:rank]
     best = best[value[best] > 1e-9 * max(value.max(), 1e-30)]
     return (q @ turn[:, best]).astype(np.float32)
@@ -151,7 +155,7 @@ def prepare(docs: DataFrame, ids: list[int | None], texts: list[str | None]) ->
     df, n = frequencies(docs, terms)
     items = Items(ids, words, passages, terms, np.log((n + 2) / (df + 1)), float(np.log(n + 2)), np.zeros((0, 0)), np.zeros((0, 0)))
     rows = [vector(items, words[i][a:b]) for i, a, b in passages]
-    items.basis = randomised_svd(docs.sparkSession, [r[:2] for r in rows], min(RANK, len(rows)))
+    items.basis = randomised_svd(docs.sparkSession, [r[:2] for r in rows], min(SLOTS, len(terms)), min(RANK, len(rows)))
     items.latent = np.stack([w @ items.basis[s] / norm for s, w, norm in rows]).astype(np.float32)
     return items
 
