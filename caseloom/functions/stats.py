@@ -7,6 +7,7 @@ import math
 import pandas as pd
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 
 def binom_two_sided(k: int, n: int, p: float = 0.5) -> float:
@@ -38,7 +39,7 @@ def t_two_sided(t: float, df: int) -> float:
     return incomplete_beta(df / 2, 0.5, df / (df + t * t))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def binom_p(k: pd.Series, n: pd.Series) -> pd.Series:
     return pd.Series([binom_two_sided(int(a), int(b)) for a, b in zip(k, n, strict=True)])
 

@@ -73,7 +73,7 @@ d("q_cohort_contrast", lambda t: chapters(t).withColumn("cohort", F.when(F.col("
 
 # Conversion of foreign records.
 first = lambda t: t.src_case.withColumn("f", F.to_date(F.min("recorded_at").over(Window.partitionBy("subject_id"))))
-d("q_shift_dates", lambda t: first(t).select("case_id", F.date_add(F.lit("2020-01-01").cast("date"), (F.col("subject_id") % 365).cast("int") + F.datediff(F.to_date("recorded_at"), "f")).alias("shifted")), "SELECT case_id, CAST(DATE '2020-01-01' + CAST(subject_id % 365 + date_diff('day', min(CAST(recorded_at AS DATE)) OVER (PARTITION BY subject_id), CAST(recorded_at AS DATE)) AS INTEGER) AS DATE) AS shifted FROM src_case")
+d("q_shift_dates", lambda t: first(t).select("case_id", F.date_add(F.lit("2020-01-01").cast("date"), (F.col("subject_id") % 365).cast("int") + F.datediff(F.to_date("recorded_at"), "f")).cast("string").alias("shifted")), "SELECT case_id, CAST(DATE '2020-01-01' + CAST(subject_id % 365 + date_diff('day', min(CAST(recorded_at AS DATE)) OVER (PARTITION BY subject_id), CAST(recorded_at AS DATE)) AS INTEGER) AS DATE)::VARCHAR AS shifted FROM src_case")
 d("q_convert_sections", lambda t: t.documents.select("doc_id", F.posexplode(F.split("text", "\n")).alias("ord", "line")).where("length(line) > 0").select("doc_id", "ord", F.when(F.col("line").rlike("[|]"), "table").when(F.col("line").rlike("(?i)licen"), "notice").otherwise("narrative").alias("stype")), "SELECT doc_id, CAST(i - 1 AS INT) AS ord, CASE WHEN contains(line, '|') THEN 'table' WHEN contains(lower(line), 'licen') THEN 'notice' ELSE 'narrative' END AS stype FROM (SELECT doc_id, i, parts[i] AS line FROM (SELECT doc_id, parts, unnest(range(1, len(parts) + 1)) AS i FROM (SELECT doc_id, string_split(text, chr(10)) AS parts FROM documents))) WHERE length(line) > 0")
 d("q_unmask", lambda t: t.conversations.select("conv_id", "turn", F.concat(F.lit("Dr. "), F.element_at(F.array(F.lit("Adler"), F.lit("Brook"), F.lit("Cole")), (F.col("conv_id") % 3 + 1).cast("int")), F.lit(" ("), "role", F.lit(")")).alias("provider")), "SELECT conv_id, turn, 'Dr. ' || (CASE conv_id % 3 WHEN 0 THEN 'Adler' WHEN 1 THEN 'Brook' ELSE 'Cole' END) || ' (' || role || ')' AS provider FROM conversations")
 d("q_expand_labs", lambda t: t.chart_section.where("stype = 'lab'").select("section_id", F.explode(F.split("body", "; ")).alias("name")).groupBy("section_id").agg(F.count("*").alias("n_lines")), "SELECT section_id, len(string_split(body, '; ')) AS n_lines FROM chart_section WHERE stype = 'lab'")

@@ -172,3 +172,11 @@ q("q_agent_best", lambda g, p: S.decompose(agents(g, p), keys=["m"]).select("m",
 q("q_published_mean_rank", lambda g, p: S.mean_rank(fixtures.panel_scores(g.t.spark)), None)
 q("q_published_agent_effects", lambda g, p: S.decompose(fixtures.agent_scores(g.t.spark), keys=["task", "m"]), None)
 q("q_coverage", lambda g, p: fixtures.capabilities(g.t.spark).unpivot("row", list(fixtures.CAPABILITY_NAMES), "capability", "level").groupBy("capability").pivot("level", [0, 1, 2]).count().fillna(0).select("capability", F.col("0").alias("absent"), F.col("1").alias("partial"), F.col("2").alias("full")), None)
+
+
+def reward_range(spark, sf_dir):
+    """Rewards outside [0, 1] over all tasks and systems: none."""
+    g = Labels(Tables(spark, sf_dir))
+    p = Panel(g)
+    every = S.severity_f1(p.dx, g.patient_dx, neutral=g.documented).select("value").unionByName(findings(g, p).select("value")).unionByName(specs(g, p).select("value")).unionByName(images(g, p).select("value")).unionByName(S.precision_at(p.ranked, g.section_grade).select("value"))
+    return every.agg(F.sum(((F.col("value") < 0) | (F.col("value") > 1)).cast("long")).alias("outside"))

@@ -69,9 +69,9 @@ s("q_str_regex", "SELECT doc_id, regexp_extract(text, '([0-9]+)', 1) AS num, len
 s("q_str_distance", "SELECT a.p_partkey, levenshtein(a.p_name, b.p_name) AS dist FROM part a JOIN part b ON b.p_partkey = a.p_partkey + 1")
 s("q_str_contains", "SELECT doc_id, item_id FROM documents d JOIN benchmark b ON contains(d.text, b.text)")
 d("q_url_parts", lambda t: t.pages.select("page_id", F.parse_url("url", F.lit("HOST")).alias("host"), F.length(F.regexp_replace("html", "<[^>]*>", "")).alias("n")))
-s("q_date_trunc_month", "SELECT CAST(date_trunc('month', o_orderdate) AS DATE) AS m, count(*) AS n FROM orders GROUP BY 1", "SELECT CAST(date_trunc('MONTH', o_orderdate) AS DATE) AS m, count(*) AS n FROM orders GROUP BY 1")
+s("q_date_trunc_month", "SELECT CAST(CAST(date_trunc('month', o_orderdate) AS DATE) AS VARCHAR) AS m, count(*) AS n FROM orders GROUP BY 1", "SELECT CAST(CAST(date_trunc('MONTH', o_orderdate) AS DATE) AS STRING) AS m, count(*) AS n FROM orders GROUP BY 1")
 s("q_date_gap", "SELECT o_custkey, max(date_diff('day', CAST(prev AS DATE), CAST(o_orderdate AS DATE))) AS gap FROM (SELECT o_custkey, o_orderdate, lag(o_orderdate) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS prev FROM orders) GROUP BY 1", "SELECT o_custkey, max(datediff(CAST(o_orderdate AS DATE), CAST(prev AS DATE))) AS gap FROM (SELECT o_custkey, o_orderdate, lag(o_orderdate) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS prev FROM orders) GROUP BY 1")
-s("q_date_add", "SELECT o_orderkey, CAST(CAST(o_orderdate AS DATE) + INTERVAL 30 DAY AS DATE) AS due FROM orders", "SELECT o_orderkey, date_add(CAST(o_orderdate AS DATE), 30) AS due FROM orders")
+s("q_date_add", "SELECT o_orderkey, CAST(CAST(CAST(o_orderdate AS DATE) + INTERVAL 30 DAY AS DATE) AS VARCHAR) AS due FROM orders", "SELECT o_orderkey, CAST(date_add(CAST(o_orderdate AS DATE), 30) AS STRING) AS due FROM orders")
 s("q_date_parts", "SELECT year(o_orderdate) AS y, month(o_orderdate) AS mo, count(*) AS n FROM orders GROUP BY 1, 2")
 s("q_math", "SELECT o_orderkey, round(log2(o_totalprice + 1), 6) AS l2, round(ln(o_totalprice + 1), 6) AS ln, round(pow(o_totalprice, 0.5), 6) AS root, greatest(o_orderkey, o_custkey) AS hi, o_orderkey % 7 AS md FROM orders")
 s("q_array_sets", "SELECT doc_id, len(list_distinct(string_split(text, ' '))) AS vocab FROM documents", "SELECT doc_id, CAST(size(array_distinct(split(text, ' '))) AS BIGINT) AS vocab FROM documents")
@@ -81,13 +81,13 @@ s("q_json_props", "SELECT event_id, CAST(props->>'k' AS BIGINT) AS k FROM events
 s("q_variant_props", "SELECT event_id, CAST(props->>'k' AS BIGINT) AS k FROM events", "SELECT event_id, variant_get(parse_json(props), '$.k', 'bigint') AS k FROM events")
 s("q_content_hash", "SELECT doc_id, md5(text) AS m, sha256(text) AS h FROM documents", "SELECT doc_id, md5(text) AS m, sha2(text, 256) AS h FROM documents")
 s("q_dedupe_exact", "SELECT min(doc_id) AS doc_id, count(*) AS copies FROM documents GROUP BY md5(lower(text))")
-s("q_asof", "SELECT event_id, user_id, (SELECT max(o_orderdate) FROM orders WHERE o_custkey = user_id AND o_orderdate <= e.ts)::DATE AS last_case FROM events e", "SELECT event_id, user_id, CAST(last_case AS DATE) AS last_case FROM (SELECT event_id, k AS user_id, last_value(od, true) OVER (PARTITION BY k ORDER BY at, pri ROWS UNBOUNDED PRECEDING) AS last_case FROM (SELECT NULL AS event_id, o_custkey AS k, o_orderdate AS at, o_orderdate AS od, 0 AS pri FROM orders UNION ALL SELECT event_id, user_id, ts, NULL, 1 FROM events)) WHERE event_id IS NOT NULL")
+s("q_asof", "SELECT event_id, user_id, (SELECT max(o_orderdate) FROM orders WHERE o_custkey = user_id AND o_orderdate <= e.ts)::DATE::VARCHAR AS last_case FROM events e", "SELECT event_id, user_id, CAST(CAST(last_case AS DATE) AS STRING) AS last_case FROM (SELECT event_id, k AS user_id, last_value(od, true) OVER (PARTITION BY k ORDER BY at, pri ROWS UNBOUNDED PRECEDING) AS last_case FROM (SELECT NULL AS event_id, o_custkey AS k, o_orderdate AS at, o_orderdate AS od, 0 AS pri FROM orders UNION ALL SELECT event_id, user_id, ts, NULL, 1 FROM events)) WHERE event_id IS NOT NULL")
 BIN = 90
 d("q_range_join", lambda t: (lambda c, x: c.join(x, ["subject", "bin"]).where((F.col("od") <= F.col("sd")) & (F.datediff("sd", "od") <= BIN)).groupBy("case_id").agg(F.count("*").alias("n_lines")))(
     t.orders.select(F.col("o_orderkey").alias("case_id"), F.col("o_custkey").alias("subject"), F.to_date("o_orderdate").alias("od")).withColumn("_b", F.floor(F.datediff("od", F.lit("1990-01-01")) / BIN)).withColumn("bin", F.explode(F.array(F.col("_b"), F.col("_b") + 1))),
     t.lineitem.join(t.orders, F.col("l_orderkey") == F.col("o_orderkey")).select(F.col("o_custkey").alias("subject"), F.to_date("l_shipdate").alias("sd")).withColumn("bin", F.floor(F.datediff("sd", F.lit("1990-01-01")) / BIN)),
 ), "SELECT o.o_orderkey AS case_id, count(*) AS n_lines FROM orders o JOIN orders p ON p.o_custkey = o.o_custkey JOIN lineitem l ON l.l_orderkey = p.o_orderkey WHERE CAST(l_shipdate AS DATE) >= CAST(o.o_orderdate AS DATE) AND date_diff('day', CAST(o.o_orderdate AS DATE), CAST(l_shipdate AS DATE)) <= 90 GROUP BY 1")
-s("q_tumbling", "SELECT event_type, CAST(date_trunc('day', ts) AS DATE) AS day, count(*) AS n FROM events GROUP BY 1, 2", "SELECT event_type, CAST(window.start AS DATE) AS day, count(*) AS n FROM events GROUP BY event_type, window(ts, '1 day')")
+s("q_tumbling", "SELECT event_type, CAST(CAST(date_trunc('day', ts) AS DATE) AS VARCHAR) AS day, count(*) AS n FROM events GROUP BY 1, 2", "SELECT event_type, CAST(CAST(window.start AS DATE) AS STRING) AS day, count(*) AS n FROM events GROUP BY event_type, window(ts, '1 day')")
 s("q_sliding", "SELECT CAST(epoch(w) AS BIGINT) AS start_s, count(*) AS n FROM (SELECT unnest([time_bucket(INTERVAL 6 HOUR, ts), time_bucket(INTERVAL 6 HOUR, ts) - INTERVAL 6 HOUR, time_bucket(INTERVAL 6 HOUR, ts) - INTERVAL 12 HOUR, time_bucket(INTERVAL 6 HOUR, ts) - INTERVAL 18 HOUR]) AS w FROM events) GROUP BY 1", "SELECT unix_timestamp(CAST(window.start AS TIMESTAMP)) AS start_s, count(*) AS n FROM events GROUP BY window(ts, '24 hours', '6 hours')")
 s("q_session", "SELECT user_id, count(*) AS sessions FROM (SELECT user_id, CASE WHEN lag(ts) OVER (PARTITION BY user_id ORDER BY ts) + INTERVAL 12 HOUR > ts THEN 0 ELSE 1 END AS new FROM events) WHERE new = 1 GROUP BY 1", "SELECT user_id, count(*) AS sessions FROM (SELECT user_id, session_window(CAST(ts AS TIMESTAMP), '12 hours') AS w FROM events GROUP BY user_id, session_window(CAST(ts AS TIMESTAMP), '12 hours')) GROUP BY user_id")
 s("q_calls_by_segment", "SELECT c_mktsegment, event_type, count(*) AS n FROM events JOIN customer ON user_id = c_custkey GROUP BY 1, 2")

@@ -4,13 +4,18 @@ from __future__ import annotations
 
 import tempfile
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, SparkSession
 
 
-def durable(df: DataFrame) -> DataFrame:
-    """Checkpoints to ``spark.checkpoint.dir``; where the session names none, as in local tests, a folder is made."""
-    spark = df.sparkSession
+def ready(spark: SparkSession) -> str:
+    """The checkpoint folder of the session; where it names none, as in local tests, a folder is made."""
     sc = spark.sparkContext
     if sc._jsc.sc().getCheckpointDir().isEmpty():
         sc.setCheckpointDir(spark.conf.get("spark.checkpoint.dir", None) or tempfile.mkdtemp(prefix="caseloom-"))
+    return sc._jsc.sc().getCheckpointDir().get()
+
+
+def durable(df: DataFrame) -> DataFrame:
+    """Cuts the lineage with a checkpoint in ``spark.checkpoint.dir``."""
+    ready(df.sparkSession)
     return df.checkpoint(eager=True)
