@@ -189,8 +189,9 @@ def ready(spark: SparkSession) -> None:
 
 
 def plan_bytes(df: DataFrame) -> int:
-    """Spark's estimate of a frame's size, from file sizes; it only sizes partitions."""
-    return int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    """About how large a frame is, from file sizes, or by its rows where Spark knows none; it only sizes partitions."""
+    n = int(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes())
+    return n if n < 1 << 60 else df.count() * 4096
 
 
 def crc_mod(col: str, n: int) -> Column:

@@ -1,9 +1,9 @@
 """Substring dedup by sliding sentence spans (operator 1).
 
 A text is cut into sentences (at ends of sentences and lines; a very long sentence is cut
-every ``LONGEST`` words).  From each sentence starts the shortest run of at least
-``MIN_SENTENCES`` sentences and ``MIN_WORDS`` words; the hash of its words is a span.  Spans
-are joined over all documents, and every sentence in a span that is not the first of its
+every ``LONGEST`` words).  From each sentence starts, and at each ends, the shortest run of at
+least ``MIN_SENTENCES`` sentences and ``MIN_WORDS`` words; the hash of its words is a span.
+Spans are joined over all documents, and every sentence in a span that is not the first of its
 kind (by doc_id, then place) is removed.
 
 Between documents only (hash, doc_id) counts: repeats inside a document are seen where its
@@ -50,13 +50,17 @@ def runs(s: K.Slice) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np
     after = np.maximum(np.searchsorted(first, first + MIN_WORDS), np.arange(len(first)) + MIN_SENTENCES)
     # Sentence j ends where j + 1 begins: from the run's begin, at least MIN_WORDS words.
     good = after <= last
-    at, to = np.flatnonzero(good), after[good]
+    ends = np.append(first, n)
+    j = np.arange(1, len(first) + 1)
+    before = np.minimum(np.searchsorted(first, ends[j] - MIN_WORDS, "right") - 1, j - MIN_SENTENCES)
+    back = (before >= 0) & (own[np.maximum(before, 0)] == own[j - 1])
+    both = np.unique(np.concatenate([np.flatnonzero(good) * (len(first) + 1) + after[good], before[back] * (len(first) + 1) + j[back]]))
+    at, to = both // (len(first) + 1), both % (len(first) + 1)
     h = K.mix(w.hashes())
     steps = np.full(n, 0xD6E8FEB86659FD93, np.uint64)
     steps[0] = 1
     powers = np.cumprod(steps)
     sums = np.append(np.uint64(0), np.cumsum(h * powers))
-    ends = np.append(first, n)
     inverse = np.cumprod(np.concatenate([np.ones(1, np.uint64), np.full(n - 1, pow(0xD6E8FEB86659FD93, -1, 1 << 64), np.uint64)]))
     hashes = K.mix((sums[ends[to]] - sums[first[at]]) * inverse[first[at]] + (ends[to] - first[at]).astype(np.uint64))
     return w.begin[first], own, at, to, hashes
@@ -71,7 +75,7 @@ def _firsts(doc: np.ndarray, hashes: np.ndarray) -> np.ndarray:
 
 
 def spans(docs: DataFrame) -> DataFrame:
-    """(_id, _th, hash, place) of each document's distinct spans; place is the number of the first sentence."""
+    """(_id, _th, hash, place) of each document's distinct spans; place is its number among all of the document."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -79,12 +83,11 @@ def spans(docs: DataFrame) -> DataFrame:
             for s in K.slices(b.column(2)):
                 _, own, at, _, h = runs(s)
                 keep = _firsts(own[at], h)
-                at, h = at[keep], h[keep]
                 cut = np.searchsorted(own[at], np.arange(len(s) + 1))
-                begin = np.searchsorted(own, np.arange(len(s)))
                 for i in range(len(s)):
-                    lists.append(h[cut[i] : cut[i + 1]].view(np.int64))
-                    places.append((at[cut[i] : cut[i + 1]] - begin[i]).astype(np.int32))
+                    mine = np.flatnonzero(keep[cut[i] : cut[i + 1]])
+                    lists.append(h[cut[i] + mine].view(np.int64))
+                    places.append(mine.astype(np.int32))
             yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(lists, pa.list_(pa.int64())), pa.array(places, pa.list_(pa.int32()))], names=["_id", "_th", "h", "p"])
 
     found = docs.select("_id", "_th", "text").mapInArrow(run, "_id long, _th long, h array<long>, p array<int>")
@@ -117,7 +120,7 @@ def dedup(docs: DataFrame) -> DataFrame:
                     x, y = at[cut[i] : cut[i + 1]] - begin[i], to[cut[i] : cut[i + 1]] - begin[i]
                     bad = local[cut[i] : cut[i + 1]].copy()
                     if gone_of[s.first + i]:
-                        bad |= np.isin(x, gone_of[s.first + i])
+                        bad[gone_of[s.first + i]] = True
                     np.add.at(mark, x[bad], 1)
                     np.add.at(mark, y[bad], -1)
                     cover = np.cumsum(mark)[:n] > 0
