@@ -27,19 +27,19 @@ def judgments(t):
     return r.select("rater", F.col("doc_id").alias("record_id"), F.col("quality").alias("truth"), F.when(right, F.col("quality")).otherwise(1 - F.col("quality")).alias("called"), (50 + 10 * ((F.col("doc_id") + F.col("rater")) % 6)).alias("confidence"))
 
 
-hit = (F.col("called") == F.col("truth")).cast("double")
+HIT = "CAST(called = truth AS DOUBLE)"
 H = "(CASE WHEN called = truth THEN 1.0 ELSE 0.0 END)"
-d("q_study_confusion", lambda t: judgments(t).agg(F.round(F.avg(hit), 6).alias("accuracy"), F.round(F.avg(F.when(F.col("truth") == 1, hit)), 6).alias("sensitivity"), F.round(F.avg(F.when(F.col("truth") == 0, hit)), 6).alias("specificity"), F.round(F.avg("called"), 6).alias("real_rate")), f"SELECT round(avg({H}), 6) AS accuracy, round(avg({H}) FILTER (WHERE truth = 1), 6) AS sensitivity, round(avg({H}) FILTER (WHERE truth = 0), 6) AS specificity, round(avg(called), 6) AS real_rate FROM {J}")
+d("q_study_confusion", lambda t: judgments(t).agg(F.round(F.avg(F.expr(HIT)), 6).alias("accuracy"), F.round(F.avg(F.expr(f"CASE WHEN truth = 1 THEN {HIT} END")), 6).alias("sensitivity"), F.round(F.avg(F.expr(f"CASE WHEN truth = 0 THEN {HIT} END")), 6).alias("specificity"), F.round(F.avg("called"), 6).alias("real_rate")), f"SELECT round(avg({H}), 6) AS accuracy, round(avg({H}) FILTER (WHERE truth = 1), 6) AS sensitivity, round(avg({H}) FILTER (WHERE truth = 0), 6) AS specificity, round(avg(called), 6) AS real_rate FROM {J}")
 d("q_fooled", lambda t: judgments(t).where("truth = 0").groupBy("record_id").agg(F.sum("called").alias("fooled")), f"SELECT record_id, sum(called)::BIGINT AS fooled FROM {J} WHERE truth = 0 GROUP BY 1")
-d("q_calibration", lambda t: judgments(t).groupBy("confidence").agg(F.round(F.avg(hit), 6).alias("accuracy"), F.count("*").alias("n")), f"SELECT confidence, round(avg({H}), 6) AS accuracy, count(*) AS n FROM {J} GROUP BY 1")
+d("q_calibration", lambda t: judgments(t).groupBy("confidence").agg(F.round(F.avg(F.expr(HIT)), 6).alias("accuracy"), F.count("*").alias("n")), f"SELECT confidence, round(avg({H}), 6) AS accuracy, count(*) AS n FROM {J} GROUP BY 1")
 d("q_fleiss", lambda t: X.fleiss_kappa(judgments(t)), f"SELECT round((po - pe) / (1 - pe), 6) AS kappa FROM (SELECT avg(a / (r * (r - 1))) AS po FROM (SELECT record_id, sum(n) AS r, sum(n * (n - 1)) AS a FROM (SELECT record_id, called, count(*) AS n FROM {J} GROUP BY 1, 2) GROUP BY 1)), (SELECT sum(s * s) AS pe FROM (SELECT count(*) / sum(count(*)) OVER () AS s FROM {J} GROUP BY called))")
 PT = f"(SELECT rater, avg({H}) FILTER (WHERE truth = 0) - avg({H}) FILTER (WHERE truth = 1) AS diff FROM {J} GROUP BY 1)"
-paired = lambda t: judgments(t).groupBy("rater").agg((F.avg(F.when(F.col("truth") == 0, hit)) - F.avg(F.when(F.col("truth") == 1, hit))).alias("diff"))
+paired = lambda t: judgments(t).groupBy("rater").agg((F.avg(F.expr(f"CASE WHEN truth = 0 THEN {HIT} END")) - F.avg(F.expr(f"CASE WHEN truth = 1 THEN {HIT} END"))).alias("diff"))
 d("q_paired_t", lambda t: paired(t).agg(F.round(F.avg("diff") / (F.stddev_samp("diff") / F.sqrt(F.count("*"))), 6).alias("t"), (F.count("*") - 1).alias("df")), f"SELECT round(avg(diff) / (stddev_samp(diff) / sqrt(count(*))), 6) AS t, count(*) - 1 AS df FROM {PT}")
-per_rater = lambda t: judgments(t).where("record_id < 100").groupBy("rater").agg(F.sum(hit).alias("k"), F.count("*").alias("n")).select("rater", F.round(X.binom_p("k", "n"), 9).alias("p"))
+per_rater = lambda t: judgments(t).where("record_id < 100").groupBy("rater").agg(F.sum(F.expr(HIT)).alias("k"), F.count("*").alias("n")).select("rater", F.round(X.binom_p("k", "n"), 9).alias("p"))
 d("q_binom", per_rater)
 d("q_holm", lambda t: X.holm(t.spark.range(1, 11).select(F.col("id").alias("rater"), ((F.col("id") * 7 % 10 + 1) / 100.0).alias("p"))).select("rater", F.round("adjusted", 6).alias("adjusted")), "SELECT rater, round(least(1.0, max(s) OVER (ORDER BY p, rater ROWS UNBOUNDED PRECEDING)), 6) AS adjusted FROM (SELECT r AS rater, p, p * (10 - row_number() OVER (ORDER BY p, r) + 1) AS s FROM (SELECT r, (r*7 % 10 + 1) / 100.0 AS p FROM range(1, 11) AS x(r)))")
-d("q_bootstrap_ci", lambda t: X.bootstrap_ci(judgments(t).where("record_id < 50").withColumn("hit", hit).select(F.struct("rater", "record_id").alias("id"), "hit"), "hit", 200))
+d("q_bootstrap_ci", lambda t: X.bootstrap_ci(judgments(t).where("record_id < 50").withColumn("hit", F.expr(HIT)).select(F.struct("rater", "record_id").alias("id"), "hit"), "hit", 200))
 d("q_rater_order", lambda t: t.labels.where("doc_id < 40").crossJoin(F.broadcast(t.spark.range(1, 11).withColumnRenamed("id", "rater"))).select("rater", "doc_id", F.row_number().over(Window.partitionBy("rater").orderBy((F.col("doc_id") * 7919 + F.col("rater") * 104729) % 10007, "doc_id")).cast("long").alias("place")), "SELECT r AS rater, doc_id, row_number() OVER (PARTITION BY r ORDER BY (doc_id*7919 + r*104729) % 10007, doc_id) AS place FROM labels, range(1, 11) AS x(r) WHERE doc_id < 40")
 
 
