@@ -169,11 +169,11 @@ def summary(key, order_spark, order_sql):
     def run(t):
         g = Labels(t)
         rows = t.src_case.join(t.case_finding, "case_id").groupBy(F.col("subject_id").alias("patient_id"), "finding_id").agg(F.count("*").alias("n"))
-        pred = rows.withColumn("_r", F.row_number().over(Window.partitionBy("patient_id").orderBy(*order_spark))).where("_r <= 15").withColumn("m", F.lit(0))
+        pred = rows.withColumn("_r", F.row_number().over(Window.partitionBy("patient_id").orderBy(*order_spark()))).where("_r <= 15").withColumn("m", F.lit(0))
         return S.macro(S.set_prf(pred, g.key_finding, keys=["patient_id"], item="finding_id"))
 
     d(key, run, f"SELECT 0 AS m, round(avg(2.0 * coalesce(hit, 0) / (coalesce(p, 0) + g)), 6) AS score, count(*) AS n FROM (SELECT patient_id, count(*) AS g FROM key_finding GROUP BY 1) LEFT JOIN (SELECT patient_id, count(*) AS p, count(k.finding_id) AS hit FROM (SELECT patient_id, finding_id, row_number() OVER (PARTITION BY patient_id ORDER BY {order_sql}) AS r FROM (SELECT subject_id AS patient_id, finding_id, count(*) AS n FROM src_case JOIN case_finding USING (case_id) GROUP BY 1, 2)) x LEFT JOIN key_finding k USING (patient_id, finding_id) WHERE r <= 15 GROUP BY 1) USING (patient_id)")
 
 
-summary("q_sum_freq", [F.desc("n"), "finding_id"], "n DESC, finding_id")
-summary("q_sum_first", ["finding_id"], "finding_id")
+summary("q_sum_freq", lambda: [F.desc("n"), "finding_id"], "n DESC, finding_id")
+summary("q_sum_first", lambda: ["finding_id"], "finding_id")
