@@ -14,6 +14,7 @@ length: a boundary reached first from an interval of l bytes has a common prefix
 stops at ``length``; boundaries still open join windows that agree in ``length`` bytes.  In
 each class all but the first window, by (doc_id, start), are removed.
 
+Whole texts that are copies of an earlier one are removed as such and need no contexts.
 Batches see their own repeats first: a repeated anchor is settled where it is, and only one
 of its places is sent on; of equal contexts only the first is.
 
@@ -105,7 +106,7 @@ def repeated_anchors(rows: DataFrame, buckets: int, length: int, gram: int) -> D
 
 def _split(place: np.ndarray, keep: np.ndarray, i: np.ndarray, p: np.ndarray, h: np.ndarray, buckets: int) -> dict[int, bytes]:
     place, i, p, h = place[keep], i[keep], p[keep], h[keep]
-    order = np.argsort(place, kind="stable")
+    order = np.lexsort((p, i, place))
     place = place[order]
     rows = np.stack([i, p, h.view(np.int64)])[:, order]
     cut = np.searchsorted(place, np.arange(buckets + 1))
@@ -255,6 +256,9 @@ def removed_runs(rows: DataFrame, found: DataFrame, buckets: int, length: int, g
         texts = t.column("t").to_pylist()
         keep, out = distinct_contexts(ids, starts, texts, length)
         keep = keep[np.argsort(h[keep], kind="stable")] if len(keep) else keep
+        # Of an anchor with one context, every window is the first of its kind.
+        _, back, many = np.unique(h[keep], return_inverse=True, return_counts=True)
+        keep = keep[many[back] > 1]
         begin, size = 0, 0
         for k in range(len(keep) + 1):
             # Contexts of one anchor stay together.
@@ -271,6 +275,13 @@ def removed_runs(rows: DataFrame, found: DataFrame, buckets: int, length: int, g
     return joined.mapInArrow(contexts, "bucket int, h long, _id long, b long, e long, t binary").groupBy("bucket").applyInArrow(meet, _RUNS)
 
 
+def copies(rows: DataFrame) -> DataFrame:
+    """(_id, e): ids whose whole text of e bytes is an earlier row's (ids of several rows are left to the anchors)."""
+    one = rows.select("_id", F.md5("text").alias("_h"), F.octet_length("text").cast("long").alias("e")).groupBy("_id").agg(F.count("*").alias("_n"), F.max("_h").alias("_h"), F.max("e").alias("e")).where("_n = 1")
+    first = rows.groupBy(F.md5("text").alias("_h")).agg(F.min("_id").alias("_first"), F.count("*").alias("_n")).where("_n > 1").select("_h", "_first")
+    return one.join(first, "_h").where("_id > _first").select("_id", "e")
+
+
 RESULT = "doc_id long, n_bytes long, n_removed long, n_spans long, kept_sha256 string"
 
 
@@ -289,7 +300,9 @@ def dedup(docs: DataFrame, length: int = LENGTH, gram: int = GRAM) -> DataFrame:
     """One row per document: its bytes, what is removed, and a digest of what is kept."""
     rows = docs.select(F.coalesce(F.col("doc_id").cast("long"), F.lit(_LAST)).alias("_id"), F.coalesce(F.col("text").cast("string"), F.lit("")).alias("text"))
     buckets = max(64, K.plan_bytes(docs) // (2 << 20))
-    runs = removed_runs(rows, repeated_anchors(rows, buckets, length, gram), buckets, length, gram)
+    later = copies(rows)
+    found = repeated_anchors(rows, buckets, length, gram).join(later.select("_id"), "_id", "left_anti")
+    runs = removed_runs(rows, found, buckets, length, gram).unionByName(later.where(F.col("e") >= length).select("_id", F.lit(0).cast("long").alias("b"), "e"))
     runs = runs.groupBy("_id").agg(F.collect_set(F.struct("b", "e")).alias("runs"))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
