@@ -88,6 +88,34 @@ def test_jaccard(spark, texts, monkeypatch, common):
     assert jaccard.link(frame(spark, [])).count() == 0
 
 
+def test_jaccard_where_pairs_share_frequent_tokens(spark):
+    """Linked pairs whose common tokens are mostly frequent ones share only half of their rare ones."""
+    r = random.Random(6)
+    say = lambda n: " ".join("".join(r.choices("abcdefgh", k=8)) for _ in range(n))
+    docs = []
+    for n, rare, common, k in ((600, 92, 48, 4), (1000, 160, 82, 4)):
+        boiler = say(n - rare + 3)
+        docs += [f"{boiler} {say(n)}" for _ in range(24)]
+        for _ in range(k):
+            start = f"{boiler} {say(common)} "
+            docs += [start + say(rare - common), start + say(rare - common)]
+    sets = list(word_sets(list(enumerate(docs))))
+    want = [sum(100 * len(a & b) >= 85 * len(a | b) for b in sets) - 1 for a in sets]
+    assert sum(want) == 16
+    assert by_id(jaccard.link(frame(spark, list(enumerate(docs))).coalesce(1)), "doc_id", "n_links") == sorted(enumerate(want), key=str)
+    rng = np.random.default_rng(0)
+    for _ in range(3000):
+        n, m = rng.integers(1, 60, 2)
+        least = -(-85 * (n + m) // 185)
+        x = rng.permutation(200)
+        inter = int(min(n, m, least + rng.integers(0, 3)))
+        if 100 * inter < 85 * (n + m - inter):
+            continue
+        a, b = np.sort(x[:n]), np.sort(np.append(x[:inter], x[n : n + m - inter]))
+        prefix = [t[: len(t) - -(-85 * len(t) // 100) + 1] for t in (a, b)]
+        assert len(np.intersect1d(*prefix)) >= jaccard.needed(np.array([n]), np.array([m]), 85)[0]
+
+
 @pytest.mark.parametrize(("length", "gram"), [(100, 40), (20, 6)])
 def test_suffixes(spark, texts, length, gram):
     docs = sorted(((d, t or "") for d, t in texts if d is not None and (d, t) != (25, texts[25][1])), key=lambda x: x[0])
