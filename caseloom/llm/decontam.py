@@ -4,12 +4,15 @@
    over all documents.
 2. A randomised SVD of the items' TF-IDF passages, computed over partitions (each returns a
    sketch of fixed size: slots x rank), gives the latent space.
-3. Every document is read in overlapping windows.  A window whose weight on the items' terms
-   cannot reach the cosine bound is passed over; the others are compared with all item
-   passages by cosine in the latent space (inner products, over the window's whole weight).
-4. A candidate is verified by the longest common subsequence of words with the whole item, and
-   by an answer check: of the item's last words, with which it is answered, at least ``ANSWER``
-   must be near the window.
+3. Every document is read in overlapping windows.  A window with hardly any weight on the items'
+   terms is passed over; the others are compared with all item passages by cosine in the latent
+   space: passages have length 1 there, windows are divided by their whole weight.  At a rank far
+   below the number of passages that is less than 1 for a verbatim copy, too; so beside this,
+   every place that shares ``GRAM`` words in a row with a passage is a candidate.
+4. A candidate is verified by the longest common subsequence (LCS) of words with the whole item
+   and with the passage.  A share of ``STRONG``, or ``RUN`` words of the passage in a row, tells
+   alone.  A share of ``LCS`` needs an answer check: of the item's last words, with which it is
+   answered, at least ``ANSWER`` must be near the window.
 
 Items are taken in blocks of ``BLOCK`` passages, each against all documents, so what a task
 holds is bounded whatever the benchmark's size.
@@ -33,6 +36,8 @@ from . import kernels as K
 WINDOW, STRIDE, PASSAGE, PASSAGE_STRIDE = 40, 14, 40, 20
 RANK, SLOTS, BLOCK = 256, 1 << 15, 8192
 COSINE, LCS, ANSWER, LAST = 0.3, 0.6, 0.5, 8
+#: Words in a row that make a candidate; share of the common subsequence, and words in a row, that need no answer check.
+GRAM, STRONG, RUN = 4, 0.8, 20
 #: Partitions of a block of items for the SVD, each of which sends a sketch to the driver.
 SKETCHES = 8
 
@@ -43,12 +48,17 @@ class Items:
 
     ids: list[int | None]
     words: list[np.ndarray]  # hashes of each item's words, in order
+    places: list[np.ndarray]  # their places among the terms
     passages: list[tuple[int, int, int]]  # item, first word, word after the last
     terms: np.ndarray
     idf: np.ndarray
     top_idf: float
     basis: np.ndarray  # slots x rank
-    latent: np.ndarray  # passages x rank, divided by the passage's weight
+    latent: np.ndarray  # passages x rank, divided by the passage's weight in this space
+    grams: np.ndarray  # sorted hashes of the passages' runs of GRAM words
+    owners: np.ndarray  # the passage of each
+    bags: np.ndarray  # the terms of each passage, in rows of PASSAGE
+    least: np.ndarray  # how many of them must stand near a place
 
     def slots(self, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Place of each hash among the terms, and whether it is one."""
@@ -138,6 +148,10 @@ def randomised_svd(spark: SparkSession, rows: list[tuple[np.ndarray, np.ndarray]
     return (q @ turn[:, best]).astype(np.float32)
 
 
+def unit(rows: np.ndarray) -> np.ndarray:
+    return (rows / np.maximum(np.linalg.norm(rows, axis=1, keepdims=True), 1e-30)).astype(np.float32)
+
+
 def prepare(docs: DataFrame, ids: list[int | None], texts: list[str | None]) -> Items | None:
     words = hashes(texts)
     keep = [i for i, w in enumerate(words) if len(w)]
@@ -154,10 +168,18 @@ def prepare(docs: DataFrame, ids: list[int | None], texts: list[str | None]) ->
             at += PASSAGE_STRIDE
     terms = np.unique(np.concatenate(words))
     df, n = frequencies(docs, terms)
-    items = Items(ids, words, passages, terms, np.log((n + 2) / (df + 1)), float(np.log(n + 2)), np.zeros((0, 0)), np.zeros((0, 0)))
+    items = Items(ids, words, [np.searchsorted(terms, w) for w in words], passages, terms, np.log((n + 2) / (df + 1)), float(np.log(n + 2)), np.zeros((0, 0)), np.zeros((0, 0)), np.zeros(0, np.uint64), np.zeros(0, np.int64), np.full((len(passages), PASSAGE), len(terms)), np.zeros(len(passages)))
     rows = [vector(items, words[i][a:b]) for i, a, b in passages]
     items.basis = randomised_svd(docs.sparkSession, [r[:2] for r in rows], min(SLOTS, len(terms)), min(RANK, len(rows)))
-    items.latent = np.stack([w @ items.basis[s] / norm for s, w, norm in rows]).astype(np.float32)
+    items.latent = unit(np.stack([w @ items.basis[s] for s, w, _ in rows]))
+    for p, (i, a, b) in enumerate(passages):
+        items.bags[p, : b - a] = items.places[i][a:b]
+        # Of an item with a share of LCS, one of its half-overlapping passages has two thirds of this at least.
+        items.least[p] = min((LCS if b - a == len(words[i]) else LCS * 2 / 3) * (b - a), RUN)
+    grams = [np.unique(K.shingles(words[i][a:b], GRAM)) if b - a >= GRAM else np.zeros(0, np.uint64) for i, a, b in passages]
+    own, gram = np.repeat(np.arange(len(passages)), [len(g) for g in grams]), np.concatenate(grams)
+    order = np.argsort(gram, kind="stable")
+    items.grams, items.owners = gram[order], own[order]
     return items
 
 
@@ -175,8 +197,48 @@ def lcs(a: np.ndarray, b: np.ndarray) -> int:
     return len(a) - v.bit_count()
 
 
+def possible(items: Items, passages: np.ndarray, near: np.ndarray, mark: np.ndarray) -> np.ndarray:
+    """The passages that can be found near a place: terms that stand there at all bound the common subsequence."""
+    mark[near] = True
+    mark[-1] = False
+    out = passages[mark[items.bags[passages]].sum(axis=1) >= items.least[passages]]
+    mark[near] = False
+    return out
+
+
+def verified(items: Items, p: int, t: np.ndarray, first: int, last: int, lo: int, hi: int) -> tuple[float, float] | None:
+    """(share, share of the answer) if the item of passage p is found around the words [lo, hi) of a document, the terms [first, last) of t."""
+    i, a, b = items.passages[p]
+    mine = items.places[i]
+    passage = mine[a:b]
+    near = t[max(first, lo - PASSAGE - STRIDE) : min(last, hi + PASSAGE + STRIDE)]
+    wide = t[max(first, lo - len(mine) - STRIDE) : min(last, hi + len(mine) + STRIDE)]
+    share = lcs(mine, wide) / len(mine)
+    if share < LCS:
+        return None
+    answer = float(np.isin(mine[-LAST:], wide).mean())
+    return (share, answer) if answer >= ANSWER else None
+
+
+def gram_places(items: Items, h: np.ndarray, doc: np.ndarray) -> Iterator[tuple[int, int, int, np.ndarray]]:
+    """(document, first word, word after the last, passages) of the places that share GRAM words in a row with passages."""
+    if len(h) < GRAM or not len(items.grams):
+        return
+    g = K.shingles(h, GRAM)
+    at = np.searchsorted(items.grams, g)
+    hit = np.flatnonzero(items.grams[np.minimum(at, len(items.grams) - 1)] == g)
+    hit = hit[doc[hit] == doc[hit + GRAM - 1]]
+    if not len(hit):
+        return
+    to = np.searchsorted(items.grams, g[hit], "right")
+    cut = np.flatnonzero(np.append(True, (np.diff(doc[hit]) != 0) | (np.diff(hit // WINDOW) != 0)))
+    for x, y in zip(cut.tolist(), [*cut[1:].tolist(), len(hit)], strict=True):
+        own = np.unique(np.concatenate([items.owners[k:m] for k, m in zip(at[hit[x:y]].tolist(), to[x:y].tolist(), strict=True)]))
+        yield int(doc[hit[x]]), int(hit[x]), int(hit[y - 1]) + GRAM, own
+
+
 def find(s: K.Slice, items: Items) -> list[tuple[int, int, float, float, float]]:
-    """(document, item, cosine, common share of the item, share of its answer) of what is verified in a slice."""
+    """(document, item, cosine, common share of the item or passage, share of its answer) of what is verified in a slice."""
     w = K.words(s, K.ALNUM)
     h = w.hashes()
     if not len(h):
@@ -190,29 +252,35 @@ def find(s: K.Slice, items: Items) -> list[tuple[int, int, float, float, float]]
     begin = w.doc[doc] + (np.arange(len(doc)) - np.repeat(np.cumsum(many) - many, many)) * STRIDE
     g = np.stack([begin, w.doc[doc + 1], doc], 1)
     end = np.minimum(begin + WINDOW, g[:, 1])
-    # The share of the weight on the items' terms bounds the cosine (a term's weight grows as the root of its count).
+    # Windows need a share of their weight on the items' terms (a term's weight grows as the root of its count).
     g = g[own[end] - own[begin] >= COSINE**2 * (square[end] - square[begin])]
-    if not len(g):
-        return []
+
+    def latents(places: list[list[int]]) -> np.ndarray:
+        out = np.empty((len(places), items.basis.shape[1]), np.float32)
+        for k, (a, b) in enumerate(places):
+            slot, value, norm = vector(items, h[a:b])
+            out[k] = value.astype(np.float32) @ items.basis[slot] / norm
+        return out
+
+    # Words that no item has are one more term.
+    t, mark = np.where(known, at, len(items.terms)), np.zeros(len(items.terms) + 1, bool)
     found: dict[tuple[int, int], tuple[float, float, float]] = {}
-    latent = np.empty((len(g), items.basis.shape[1]), np.float32)
-    for k, (a, b, _) in enumerate(g.tolist()):
-        slot, value, norm = vector(items, h[a : min(a + WINDOW, b)])
-        latent[k] = value.astype(np.float32) @ items.basis[slot] / norm
-    for k0 in range(0, len(g), 1024):
-        cosine = latent[k0 : k0 + 1024] @ items.latent.T
-        for k, p in zip(*np.nonzero(cosine >= COSINE), strict=True):
+
+    def look(d: int, lo: int, hi: int, passages: np.ndarray, own: np.ndarray | None) -> None:
+        first, last = int(w.doc[d]), int(w.doc[d + 1])
+        for p in possible(items, passages, t[max(first, lo - PASSAGE - STRIDE) : min(last, hi + PASSAGE + STRIDE)], mark).tolist():
             i = items.passages[p][0]
+            if (d, i) not in found and (v := verified(items, p, t, first, last, lo, hi)):
+                found[d, i] = (float((latents([[lo, hi]])[0] if own is None else own) @ items.latent[p]), *v)
+
+    for d, lo, hi, passages in gram_places(items, h, np.repeat(np.arange(len(s)), np.diff(w.doc))):
+        look(d, lo, hi, passages, None)
+    latent = latents([[a, min(a + WINDOW, b)] for a, b, _ in g.tolist()])
+    for k0 in range(0, len(g), 1024):
+        near = latent[k0 : k0 + 1024] @ items.latent.T >= COSINE
+        for k in np.flatnonzero(near.any(axis=1)).tolist():
             a, b, d = g[k0 + k].tolist()
-            if (d, i) in found:
-                continue
-            mine = items.words[i]
-            lo, hi = max(int(w.doc[d]), a - len(mine) - STRIDE), min(b, a + WINDOW + len(mine) + STRIDE)
-            share = lcs(mine, h[lo:hi]) / len(mine)
-            if share >= LCS:
-                answer = float(np.isin(mine[-LAST:], h[lo:hi]).mean())
-                if answer >= ANSWER:
-                    found[d, i] = (float(cosine[k, p]), share, answer)
+            look(d, a, min(a + WINDOW, b), np.flatnonzero(near[k]), latent[k0 + k])
     return [(d, i, *v) for (d, i), v in found.items()]
 
 

@@ -256,6 +256,18 @@ def test_decontamination(spark, texts):
     assert decontam.lcs(a, b) == 3
 
 
+def test_decontamination_of_many_items(spark, monkeypatch):
+    """Far more passages than the rank has directions."""
+    monkeypatch.setattr(decontam, "RANK", 8)
+    r = random.Random(10)
+    vocab = ["".join(r.choices("aeioubcdfgst", k=6)) for _ in range(900)]
+    items = [r.choices(vocab, k=r.randint(20, 59)) for _ in range(400)]
+    edited = lambda w: [r.choice(vocab) if r.random() < 0.2 else x for x in w[:-8]] + w[-8:]
+    rows = [(i, " ".join(r.choices(vocab, k=50) + (edited(w) if i % 2 else w) + r.choices(vocab, k=50))) for i, w in enumerate(items[:60])]
+    bench = spark.createDataFrame([(i, " ".join(w)) for i, w in enumerate(items)], "item_id long, text string")
+    assert by_id(decontam.contaminated(frame(spark, rows), bench), "doc_id", "item_id") == sorted(((i, i) for i in range(60)), key=str)
+
+
 def test_packing(spark, texts):
     path = public_tokenizers.path("word_bpe_49k.json")
     from tokenizers import Tokenizer
