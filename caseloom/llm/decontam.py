@@ -197,6 +197,15 @@ def lcs(a: np.ndarray, b: np.ndarray) -> int:
     return len(a) - v.bit_count()
 
 
+def longest_run(a: np.ndarray, b: np.ndarray) -> int:
+    """The most words in a row that two sequences share."""
+    run, most = np.zeros(len(b) + 1, np.int64), 0
+    for x in a:
+        run[1:] = (run[:-1] + 1) * (b == x)
+        most = max(most, int(run.max()))
+    return most
+
+
 def possible(items: Items, passages: np.ndarray, near: np.ndarray, mark: np.ndarray) -> np.ndarray:
     """The passages that can be found near a place: terms that stand there at all bound the common subsequence."""
     mark[near] = True
@@ -213,11 +222,14 @@ def verified(items: Items, p: int, t: np.ndarray, first: int, last: int, lo: int
     passage = mine[a:b]
     near = t[max(first, lo - PASSAGE - STRIDE) : min(last, hi + PASSAGE + STRIDE)]
     wide = t[max(first, lo - len(mine) - STRIDE) : min(last, hi + len(mine) + STRIDE)]
-    share = lcs(mine, wide) / len(mine)
-    if share < LCS:
+    most = lcs(passage, near)
+    share = max(most / len(passage), lcs(mine, wide) / len(mine) if len(mine) > len(passage) else 0.0)
+    if share < LCS and most < RUN:
         return None
     answer = float(np.isin(mine[-LAST:], wide).mean())
-    return (share, answer) if answer >= ANSWER else None
+    if share >= STRONG or (share >= LCS and answer >= ANSWER) or (most >= RUN and longest_run(passage, near) >= RUN):
+        return share, answer
+    return None
 
 
 def gram_places(items: Items, h: np.ndarray, doc: np.ndarray) -> Iterator[tuple[int, int, int, np.ndarray]]:

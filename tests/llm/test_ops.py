@@ -268,6 +268,17 @@ def test_decontamination_of_many_items(spark, monkeypatch):
     assert by_id(decontam.contaminated(frame(spark, rows), bench), "doc_id", "item_id") == sorted(((i, i) for i in range(60)), key=str)
 
 
+def test_decontamination_without_the_end(spark):
+    r = random.Random(11)
+    word = lambda: "".join(r.choices("aeioubcdfgst", k=7))
+    item = [word() for _ in range(59)]
+    other = lambda n: [word() for _ in range(n)]
+    weak = [w if i % 3 else word() for i, w in enumerate(item[:51])]
+    rows = [(1, other(40) + item[:51] + other(40)), (2, other(30) + item[:51]), (3, other(40) + item[13:43] + other(40)), (4, other(40) + weak + other(40)), (5, other(40) + weak + item[51:]), (6, item[:12] + other(60))]
+    found = decontam.contaminated(frame(spark, [(d, " ".join(w)) for d, w in rows]), spark.createDataFrame([(7, " ".join(item))], "item_id long, text string"))
+    assert by_id(found, "doc_id", "item_id") == [(1, 7), (2, 7), (3, 7), (5, 7)]
+
+
 def test_packing(spark, texts):
     path = public_tokenizers.path("word_bpe_49k.json")
     from tokenizers import Tokenizer
