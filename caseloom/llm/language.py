@@ -9,6 +9,10 @@ The path needs no search in most texts: if no stretch gains more over the best s
 language than a change costs, staying in that language is optimal, which prefix sums show
 for all documents of a slice at once.  Other texts get the full recurrence.
 
+A text that is like no language (junk, unlearned languages and scripts) is ``und``: its mean
+log-probability of trigrams, each by the language that likes it best, is under a cut between
+that of the labelled texts and that of the same texts with their letters shuffled.
+
 Fitted on the texts and languages of at most ``SAMPLE`` documents; every text is read whole.
 Nulls: a null text has no letters and is ``und`` with score 0; rows with a null lang or
 doc_id teach nothing.  Repeated rows give repeated results, an empty table an empty one.
@@ -30,8 +34,10 @@ SAMPLE = 6000
 TRI_BITS, WORD_BITS = 16, 18
 #: Cost of a change of language, and the most that a word can tell between languages (nats).
 SWITCH, MOST = 14.0, 6.0
-#: Texts under this score are rejected: of what is not rejected, a tenth of the letters at least are in the language told.
+#: Texts under this score are rejected: those that are like no language that was learned are ``und`` and have 0.
 REJECT = 0.1
+#: The share of labelled texts that may be less usual than all others when the cut is set.
+RARE = 0.001
 
 #: Scripts by the first byte of a character outside ASCII.
 _SCRIPT = np.zeros(256, np.int64)
@@ -46,6 +52,8 @@ class Model:
     tri: np.ndarray  # bucket x language
     word: np.ndarray  # bucket x language; a row of zeros for an unseen word
     allowed: np.ndarray  # script x language: 0, or a large negative score
+    usual: np.ndarray  # log-probability of a bucket in the language that likes it best
+    cut: float  # texts with a lower mean of these are in no language
 
 
 def _trigrams(s: K.Slice) -> np.ndarray:
@@ -83,16 +91,43 @@ def fit(texts: list[tuple[str, str]]) -> Model:
                 word[:, k] += np.bincount(_word_rows(w), minlength=1 << WORD_BITS)
                 seen[:, k] += np.bincount(_scripts(s, w), minlength=SCRIPTS)
     logs = np.log((tri + 0.5) / (tri.sum(axis=0) + 0.5 * (1 << 12)))
+    usual = logs.max(axis=1, initial=-1e9).astype(np.float32)
     logs -= logs.mean(axis=1, keepdims=True) if n else 0
     own = np.log((word + 0.3) / (word.sum(axis=0) + 1))
     own = (own - (own.mean(axis=1, keepdims=True) if n else 0)) * (word.sum(axis=1, keepdims=True) >= 2)
     share = seen / np.maximum(seen.sum(axis=0), 1)
     allowed = np.where(share >= 0.001, 0.0, -3 * MOST)
     allowed[allowed.max(axis=1, initial=-1e9) < 0] = 0  # a script of none of them rules none out
-    return Model(langs, logs.astype(np.float32), own.astype(np.float32), allowed)
-
-
-def word_scores(s: K.Slice, m: Model) -> tuple[K.Words, np.ndarray]:
+    return Model(langs, logs.astype(np.float32), own.astype(np.float32), allowed, usual, _cut([t for _, t in texts], usual))
+
+
+def _means(s: K.Slice, usual: np.ndarray) -> np.ndarray:
+    """The mean log-probability of the letters of each document of a slice that has any."""
+    inside = K.LETTERS[s.raw]
+    sums, n = np.append(0, np.cumsum(np.where(inside, usual[_trigrams(s)], 0), dtype=np.float64)), np.append(0, np.cumsum(inside))
+    letters = n[s.to] - n[s.at]
+    return ((sums[s.to] - sums[s.at]) / np.maximum(letters, 1))[letters > 0]
+
+
+def _cut(texts: list[str], usual: np.ndarray, seed: int = 5) -> float:
+    """Half way between the least usual labelled texts and the median of the same texts with shuffled letters."""
+    r, clean, junk = np.random.default_rng(seed), [np.zeros(0)], [np.zeros(0)]
+    for s in K.slices(pa.array(texts, pa.large_string())):
+        clean.append(_means(s, usual))
+        raw = s.raw.copy()
+        for a, b in zip(s.at.tolist(), s.to.tolist(), strict=True):
+            at = a + np.flatnonzero(K.LETTERS[raw[a:b]])
+            raw[at] = r.permutation(raw[at])
+        junk.append(_means(K.Slice(s.first, raw, s.at, s.to), usual))
+    clean, junk = np.concatenate(clean), np.concatenate(junk)
+    if not len(clean):
+        return -np.inf
+    low = float(np.quantile(clean, RARE))
+    return min(low, (low + float(np.median(junk))) / 2)
+
+
+def word_scores(s: K.Slice, m: Model) -> tuple[K.Words, np.ndarray, np.ndarray]:
+    """The words of a slice, their scores by language, and how usual their letters are."""
     w = K.words(s, K.LETTERS)
     b = _trigrams(s)
     out = np.empty((len(w.begin), len(m.langs)))
@@ -102,7 +137,8 @@ def word_scores(s: K.Slice, m: Model) -> tuple[K.Words, np.ndarray]:
     out += m.word[_word_rows(w)]
     out += m.allowed[_scripts(s, w)]
     out -= out.max(axis=1, keepdims=True, initial=-1e30)
-    return w, np.maximum(out, -MOST)
+    sums = np.append(0, np.cumsum(m.usual[b], dtype=np.float64))
+    return w, np.maximum(out, -MOST), sums[w.end] - sums[w.begin]
 
 
 def viterbi(scores: np.ndarray, switch: float = SWITCH) -> np.ndarray:
@@ -124,7 +160,7 @@ def viterbi(scores: np.ndarray, switch: float = SWITCH) -> np.ndarray:
 
 def label(s: K.Slice, m: Model) -> list[tuple[str, float, list[tuple[int, int, str]]]]:
     """(language, score, spans of words) of each document of a slice."""
-    w, scores = word_scores(s, m)
+    w, scores, usual = word_scores(s, m)
     n, langs = len(s), len(m.langs)
     first, last = w.doc[:-1], w.doc[1:]
     sums = np.vstack([np.zeros(langs), np.cumsum(scores, axis=0)])
@@ -145,10 +181,10 @@ def label(s: K.Slice, m: Model) -> list[tuple[str, float, list[tuple[int, int, s
         gain[last > first] = np.maximum(gain[last > first], np.maximum.reduceat(rise, at))
     out = []
     size = w.end - w.begin
-    sized = np.append(0, np.cumsum(size))
+    sized, usual = np.append(0, np.cumsum(size)), np.append(0, np.cumsum(usual))
     for i in range(n):
         a, b = int(first[i]), int(last[i])
-        if a == b or not langs or not _lettered(s, i, w, a, b):
+        if a == b or not langs or not _lettered(s, i, w, a, b) or usual[b] - usual[a] < m.cut * (sized[b] - sized[a]):
             out.append(("und", 0.0, []))
             continue
         if gain[i] <= SWITCH:

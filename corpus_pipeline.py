@@ -1,6 +1,6 @@
 """A corpus pipeline: each stage reads what its predecessor kept, and writes it for the next.
 
-language: documents without letters, or whose language is not told, go.
+language: documents without letters, or in no language that was learned (junk, other languages and scripts), go.
 dedup:    of each group linked by 4-word shingles (Jaccard 0.85 or more), the smallest doc_id stays.
 decontam: documents in which a benchmark item is found go.
 secrets:  found secrets are replaced by a mark.

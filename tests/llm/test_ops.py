@@ -222,6 +222,18 @@ def test_language(spark):
     assert language.identify(frame(spark, []), language.fit([])).count() == 0
 
 
+def test_language_rejects_what_it_has_not_learned(spark):
+    docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
+    m = language.fit(language.sample(docs))
+    r = random.Random(8)
+    gibberish = " ".join("".join(r.choices("abcdefghijklmnopqrstuvwxyz", k=r.randint(2, 9))) for _ in range(30))
+    rows = [(1, "Это простой русский текст про кошек и собак"), (2, "这是一个中文句子"), (3, gibberish), (4, "the and of is")]
+    assert [x["doc_id"] for x in language.keep_identified(frame(spark, rows), m).collect()] == [4]
+    assert {x["lang_pred"] for x in language.identify(frame(spark, rows[:3]), m).collect()} == {"und"}
+    held = docs.where(K.crc_mod("doc_id", 5) == 0)
+    assert language.keep_identified(held, m).count() == language.identify(held, m).where("spans[0] IS NOT NULL").count() >= 0.995 * held.count()
+
+
 def test_toxicity(spark):
     sf = "/root/testdata/sf0.01"
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
