@@ -1,7 +1,8 @@
 """Substring dedup by sliding sentence spans (operator 1).
 
-A text is cut into sentences (at ends of sentences and lines; a very long sentence is cut
-every ``LONGEST`` words).  From each sentence starts, and at each ends, the shortest run of at
+A text is cut into sentences (at ends of sentences and lines; a sentence of more than
+``LONGEST`` words is cut at the least word hash of each ``LONGEST`` words in a row, so copies of
+a passage are cut alike after any lead-in).  From each sentence starts, and at each ends, the shortest run of at
 least ``MIN_SENTENCES`` sentences and ``MIN_WORDS`` words; the hash of its words is a span.
 Spans are joined over all documents, and every sentence in a span that is not the first of its
 kind (by doc_id, then place) is removed.
@@ -42,21 +43,25 @@ def runs(s: K.Slice) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np
     lines = np.append(0, np.cumsum(s.raw == 10))
     new = np.ones(n, bool)
     new[1:] = _END[s.raw[w.end[:-1] - 1]] | (lines[w.begin[1:]] > lines[w.end[:-1]])
-    start = np.maximum.accumulate(np.where(new, np.arange(n), 0))
-    new |= (np.arange(n) - start) % LONGEST == 0
+    h = K.mix(w.hashes())
+    if n >= LONGEST:
+        # Of every LONGEST words in a row of a long sentence, one begins at the word of the smallest hash (the last such).
+        sentence = np.cumsum(new)
+        inside = np.flatnonzero((sentence[: n - LONGEST + 1] == sentence[LONGEST - 1 :]) & (np.bincount(sentence)[sentence[: n - LONGEST + 1]] > LONGEST))
+        least = np.lib.stride_tricks.sliding_window_view(h, LONGEST)[inside, ::-1].argmin(axis=1)
+        new[inside + LONGEST - 1 - least] = True
     first = np.flatnonzero(new)
     own = doc[first]
     last = np.append(np.searchsorted(own, np.arange(1, len(s) + 1)), 0)[own]  # the sentence after its document's last
     after = np.maximum(np.searchsorted(first, first + MIN_WORDS), np.arange(len(first)) + MIN_SENTENCES)
     # Sentence j ends where j + 1 begins: from the run's begin, at least MIN_WORDS words.
-    good = after <= last
     ends = np.append(first, n)
+    good = (after <= last) & (ends[np.minimum(after, len(first))] - first >= MIN_WORDS)
     j = np.arange(1, len(first) + 1)
     before = np.minimum(np.searchsorted(first, ends[j] - MIN_WORDS, "right") - 1, j - MIN_SENTENCES)
     back = (before >= 0) & (own[np.maximum(before, 0)] == own[j - 1])
     both = np.unique(np.concatenate([np.flatnonzero(good) * (len(first) + 1) + after[good], before[back] * (len(first) + 1) + j[back]]))
     at, to = both // (len(first) + 1), both % (len(first) + 1)
-    h = K.mix(w.hashes())
     steps = np.full(n, 0xD6E8FEB86659FD93, np.uint64)
     steps[0] = 1
     powers = np.cumprod(steps)

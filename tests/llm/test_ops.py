@@ -144,6 +144,23 @@ def test_sentences(spark, texts):
     assert sentences.dedup(frame(spark, [])).count() == 0
 
 
+def test_long_sentences_at_any_offset(spark):
+    r = random.Random(12)
+    say = lambda n: " ".join("".join(r.choices("abcdefgh", k=7)) for _ in range(n))
+    passages = [say(52) for _ in range(20)]
+    rows = [(i, f"{say(20)} {p} {say(20)}") for i, p in enumerate(passages)] + [(100 + i, f"{say(21 + i % 15)} {p} {say(20)}") for i, p in enumerate(passages)]
+    got = {x["doc_id"]: x for x in sentences.dedup(frame(spark, rows).repartition(3)).collect()}
+    for i, p in enumerate(passages):
+        assert got[i]["n_removed"] == 0
+        assert 16 <= len(rows[20 + i][1].split()) - len(got[100 + i]["text"].split()) <= len(p.split())
+
+
+def test_spans_do_not_depend_on_the_slice():
+    text = "A b c. D e f. " * 3
+    alone, among = (sentences.runs(next(K.slices(pa.array(x)))) for x in ([text], [text, "g h. " * 20]))
+    assert len(alone[2]) == (among[1][among[2]] == 0).sum()
+
+
 def test_simhash(spark, texts):
     docs = [(i * 700, t) for i, t in texts if i is not None][:-1]
     got = {r["doc_id"]: r for r in fingerprints.edited_likeness(frame(spark, docs)).collect()}
