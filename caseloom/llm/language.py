@@ -5,8 +5,8 @@ that script.  A word's scores are log-probabilities from counts of byte trigrams
 word itself where it was seen.  A Viterbi path over the words, with a penalty for each
 change of language, labels spans; the language that covers most letters is the prediction.
 
-The path needs no search in most texts: if no stretch gains more over the best single
-language than a change costs, staying in that language is optimal, which prefix sums show
+The path needs no search in most texts: if no stretch, each word by the best of the other
+languages, gains more over the best single language than a change costs, staying in that language is optimal, which prefix sums show
 for all documents of a slice at once.  Other texts get the full recurrence.
 
 A text that is like no language (junk, unlearned languages and scripts) is ``und``: its mean
@@ -166,19 +166,18 @@ def label(s: K.Slice, m: Model) -> list[tuple[str, float, list[tuple[int, int, s
     sums = np.vstack([np.zeros(langs), np.cumsum(scores, axis=0)])
     total = sums[last] - sums[first]
     top = total.argmax(axis=1) if langs else np.zeros(n, np.int64)
-    # The most that any stretch gains by another language: of prefix sums of differences, the largest rise.
+    # The most that any stretch gains without the top language: of prefix sums of differences, the largest rise.
     gain = np.zeros(n)
     doc = np.repeat(np.arange(n), last - first)
-    for k in range(langs):
-        d = np.cumsum(scores[:, k] - scores[np.arange(len(doc)), top[doc]])
-        if not len(d):
-            break
+    if langs > 1 and len(doc):
+        other, at = scores.copy(), np.arange(len(doc))
+        other[at, top[doc]] = -np.inf
+        d = np.cumsum(other.max(axis=1) - scores[at, top[doc]])
         before = np.append(0, d)[:-1]
         # Each document's part is moved far below the one before, so a running minimum starts anew in it.
         far = -doc * (np.abs(d).max() * 2 + 1)
         rise = d + far - np.minimum.accumulate(before + far)
-        at = first[last > first]
-        gain[last > first] = np.maximum(gain[last > first], np.maximum.reduceat(rise, at))
+        gain[last > first] = np.maximum(0, np.maximum.reduceat(rise, first[last > first]))
     out = []
     size = w.end - w.begin
     sized, usual = np.append(0, np.cumsum(size)), np.append(0, np.cumsum(usual))

@@ -251,6 +251,16 @@ def test_language_rejects_what_it_has_not_learned(spark):
     assert language.keep_identified(held, m).count() == language.identify(held, m).where("spans[0] IS NOT NULL").count() >= 0.995 * held.count()
 
 
+def test_language_path_over_two_others(spark, monkeypatch):
+    """Two other languages gain twice for one change."""
+    scores = np.array([[0, -6, -2.9]] * 4 + [[-6, 0, -2.9]] * 4)
+    model = language.Model(["a", "b", "c"], None, None, None, None, -np.inf)
+    monkeypatch.setattr(language, "word_scores", lambda s, m: (K.words(s, K.LETTERS), scores, np.zeros(8)))
+    (_, score, spans), = language.label(next(K.slices(pa.array(["a b c d e f g h"]))), model)
+    assert spans == [(0, 4, "a"), (4, 8, "b")] and score < 1
+    assert language.viterbi(scores).tolist() == [0] * 4 + [1] * 4
+
+
 def test_toxicity(spark):
     sf = "/root/testdata/sf0.01"
     docs, labels = spark.read.parquet(f"{sf}/documents.parquet"), spark.read.parquet(f"{sf}/labels.parquet")
