@@ -1,7 +1,7 @@
 """A corpus pipeline: each stage reads what its predecessor kept, and writes it for the next.
 
 language: documents without letters, or in no language that was learned (junk, other languages and scripts), go.
-dedup:    of each group linked by 4-word shingles (Jaccard 0.85 or more), the smallest doc_id stays.
+dedup:    of each group linked by 4-word shingles (Jaccard 0.85 or more), one row stays, that of the smallest doc_id.
 decontam: documents in which a benchmark item is found go.
 secrets:  found secrets are replaced by a mark.
 packing:  documents are packed into token sequences.
@@ -12,7 +12,6 @@ from __future__ import annotations
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from caseloom.llm import decontam, jaccard, kernels, language, packing, secrets
 
@@ -22,10 +21,7 @@ def language_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def dedup_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rows without a doc_id stay if their group has no row with one."""
-    linked = jaccard.link(docs)
-    gone = kernels.durable(linked.where("component_id <> coalesce(doc_id, component_id - 1)").select(F.col("doc_id").alias("_gone")).distinct())
-    return docs.join(gone, docs["doc_id"].eqNullSafe(gone["_gone"]), "left_anti")
+    return jaccard.distinct(docs)
 
 
 def decontam_stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

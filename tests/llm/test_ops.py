@@ -365,6 +365,21 @@ def test_plan_places_every_item():
             assert at <= cap
 
 
+def test_dedup_stage_keeps_one_row_of_each_group(spark):
+    import corpus_pipeline
+
+    r = random.Random(13)
+    say = lambda: " ".join("".join(r.choices("abcdefgh", k=7)) for _ in range(60))
+    a, b, c, d, e, f = (say() for _ in range(6))
+    rows = [(None, a), (1, a), (None, b), (None, c), (5, a + " end"), (5, d), (9, e), (9, e), (None, f), (None, f), (None, f + " end"), (7, None), (None, "")]
+    kept = corpus_pipeline.dedup_stage(spark, frame(spark, rows).repartition(3), SF)
+    assert kept.columns == frame(spark, []).columns
+    got = by_id(kept, "doc_id", "text")
+    last = [x for x in got if x[1] in (f, f + " end")]
+    assert len(last) == 1
+    assert sorted((x for x in got if x not in last), key=str) == sorted([(1, a), (None, b), (None, c), (5, d), (9, e), (7, None), (None, "")], key=str)
+
+
 def test_pipeline(spark):
     import corpus_pipeline
 
