@@ -2,9 +2,10 @@
 
 Two first-order models over the characters of tokens are trained from labelled samples, one
 from random strings and one from ordinary identifiers.  A run of token characters whose
-log-likelihood ratio is high, in total and per character, is a span of kind ``markov``.
+log-likelihood ratio is high, in total and per character, is a span of kind ``markov`` if it
+has a digit: without one, names as code joins them have as high a ratio as random letters.
 The fixed patterns (kinds ``assign``, ``access``, ``hex``) always count; a Markov span that
-touches one of theirs is left out.
+lies within one of theirs is left out.
 
 Byte passes over whole slices find the documents that can hold a pattern; only those are
 matched by regular expressions.  Every text is read whole.
@@ -139,7 +140,7 @@ def find(s: K.Slice, ratios: np.ndarray) -> dict[int, list[tuple[int, int, int]]
             i = int(np.searchsorted(s.at, b, "right")) - 1
             b, e = K.points(s.text(i), [b - int(s.at[i]), e - int(s.at[i])])
             own = out.setdefault(i, [])
-            if not any(x < e and b < y for x, k, y in own if k < 3):
+            if not any(x <= b and e <= y for x, k, y in own if k < 3):
                 own.append((b, 3, e))
     return {i: sorted(v) for i, v in out.items() if v}
 

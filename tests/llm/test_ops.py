@@ -225,6 +225,14 @@ def test_secrets(spark):
     assert secrets.scan(frame(spark, []), model).count() == 0
 
 
+def test_secrets_around_base_spans(spark):
+    r = random.Random(14)
+    letters = "".join(r.choices("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ", k=40))
+    model = secrets.fit(spark.read.parquet(f"{SF}/documents.parquet"))
+    rows = frame(spark, [(1, f"see {letters[:20]}Q0123456789abcdef0Q{letters[20:]} end"), (2, "getHttpConnectionFactoryFromConfig")])
+    assert {x["doc_id"]: x["text"] for x in secrets.redact(rows, model).collect()} == {1: "see [SECRET] end", 2: "getHttpConnectionFactoryFromConfig"}
+
+
 def test_language(spark):
     docs = spark.read.parquet("/root/testdata/sf0.01/documents.parquet")
     m = language.fit(language.sample(docs))
