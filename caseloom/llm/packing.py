@@ -25,6 +25,7 @@ import sys
 import zlib
 from array import array
 from collections.abc import Iterator
+from functools import cache
 
 import numpy as np
 import pyarrow as pa
@@ -35,10 +36,14 @@ from . import kernels as K
 
 CAPACITY = 2048
 SALTS = 128
+#: Chunks of text whose ids a worker keeps, in each of two tables.
+KEEP = 1 << 19
 #: Documents whose new words are encoded together.
 GROUP = 64
 #: Whole-text encoding is needed where a chunk's surroundings could matter.
 _WHOLE = re.compile("<\\||[\x1c-\x1f]")
+#: Marks that make a run of their own after letters (an apostrophe may begin a suffix).
+_MARKS = "!\"#$%&()*+,-./:;<=>?@[\\]^_`{|}~"
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
 
 
@@ -47,64 +52,73 @@ class Encoder:
 
     The vocabulary's rules never join what white space separates, nor a word's letters and a
     mark after them, and they read capitals as small letters.  So the ids of a text are those
-    of its chunks in order, and a new chunk often is made of known parts.  The table of chunks
-    is bounded: once full, rarer chunks are encoded each time.
+    of its chunks in order, and a new chunk often is made of known parts.  Known chunks are kept
+    in two tables of at most about ``keep`` each: when the young one is full it becomes the old
+    one, from which chunks that come again are taken over.
     """
 
-    def __init__(self, path: str, keep: int = 1 << 20):
+    def __init__(self, path: str, keep: int = KEEP):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.model, self.keep = Tokenizer.from_file(path), keep
         self.ids: dict[str, bytes] = {}
+        self.old: dict[str, bytes] = {}
         self.ends = np.array([(self.model.id_to_token(i) or "").endswith("</w>") for i in range(self.model.get_vocab_size())])
 
     def encode(self, text: str) -> bytes:
         return pack_ids(self.model.encode(text, add_special_tokens=False).ids)
 
     def parts(self, chunk: str) -> tuple[str, ...]:
-        """Chunks with the same ids, in order."""
-        if len(chunk) > 1 and chunk[-1] in ".," and chunk[:-1].isalpha():
-            return *self.parts(chunk[:-1]), chunk[-1]
+        """Chunks with the same ids, in order: letters and the marks after them, in small letters."""
+        word = chunk.rstrip(_MARKS)
+        if len(word) < len(chunk):
+            return (*self.parts(word), chunk[len(word) :]) if word.isalpha() else (chunk,)
         low = chunk.lower()
         return (low,) if low != chunk and max(chunk) < "\u0100" and chunk.isalpha() else (chunk,)
 
-    def encode_words(self, chunks: list[str]) -> list[bytes]:
-        """Ids of each chunk.  Words of letters alone are encoded as one text and cut at the ids that end a word."""
-        plain = [c for c in chunks if c.isalpha()]
-        ids = np.array(self.model.encode(" ".join(plain), add_special_tokens=False).ids, "<u4")
+    def encode_words(self, chunks: list[str]) -> Iterator[bytes]:
+        """Ids of each chunk.  Other words of letters alone than small ASCII ones are encoded as one text and cut at the ids that end a word."""
+        small = {c for c in chunks if c.isascii() and c.isalpha() and c.islower()}
+        plain = [c for c in chunks if c.isalpha() and c not in small]
+        ids = np.array(self.model.encode_batch_fast([" ".join(plain)], add_special_tokens=False)[0].ids, "<u4")
         cut = np.flatnonzero(self.ends[ids]) + 1
         if len(cut) != len(plain):
-            return [self.encode(c) for c in chunks]
+            yield from map(self.encode, chunks)
+            return
         raw, cut = ids.tobytes(), (cut * 4).tolist()
         of = {c: raw[a:b] for c, a, b in zip(plain, [0, *cut], cut, strict=False)}
-        rest = [c for c in chunks if c not in of]
+        rest = [c for c in chunks if c not in of and c not in small]
         of.update(zip(rest, (pack_ids(e.ids) for e in self.model.encode_batch_fast(rest, add_special_tokens=False)), strict=True))
-        return [of[c] for c in chunks]
-
-    def learn(self, chunks: set[str]) -> dict[str, bytes]:
-        """The ids of new chunks; they are kept unless the table is full."""
-        own = {c: self.parts(c) for c in chunks}
+        tokens = self.model.model.tokenize  # the byte alphabet of small ASCII letters is these letters
+        for c in chunks:
+            yield pack_ids([t.id for t in tokens(c)]) if c in small else of[c]
+
+    def learn(self, chunks: set[str]) -> None:
+        """Puts the ids of chunks that the young table has not into it."""
+        known = self.old.keys() & chunks
+        self.ids.update((c, self.old[c]) for c in known)
+        own = {c: self.parts(c) for c in chunks - known}
         new = list({p for v in own.values() for p in v}.difference(self.ids))
-        ids = dict(zip(new, self.encode_words(new), strict=True))
-        own = {c: b"".join([ids[p] if p in ids else self.ids[p] for p in v]) for c, v in own.items()}
-        if len(self.ids) < self.keep:
-            self.ids.update(ids)
-            self.ids.update(own)
-        return own
+        self.ids.update(zip(new, self.encode_words(new), strict=True))
+        self.ids.update((c, b"".join([self.ids[p] for p in v])) for c, v in own.items() if c not in self.ids)
 
     def __call__(self, texts: list[str]) -> list[bytes]:
         chunks = [None if _WHOLE.search(t) else t.split() for t in texts]
-        rare = {}
+        if len(self.ids) > self.keep:
+            self.old, self.ids = self.ids, {}
         if new := set().union(*[c for c in chunks if c]).difference(self.ids):
-            rare = self.learn(new)
-        if len(self.ids) < self.keep:
-            of = self.ids.__getitem__
-        else:
-            of = lambda c: rare[c] if c in rare else self.ids[c]
+            self.learn(new)
+        of = self.ids.__getitem__
         return [self.encode(t) if c is None else b"".join(map(of, c)) for t, c in zip(texts, chunks, strict=True)]
 
 
+@cache
+def encoder(path: str) -> Encoder:
+    """One encoder for all tasks of a worker process."""
+    return Encoder(path)
+
+
 def pack_ids(ids: list[int]) -> bytes:
     out = array("I", ids)
     if sys.byteorder == "big":
@@ -116,7 +130,7 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end_id: in
     """One row per piece of each document: its place in the document, its length and the CRC of its ids."""
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        of = Encoder(tokenizer)
+        of = encoder(tokenizer)
         end = np.array([end_id], "<u4").tobytes()
         for b in batches:
             ids, rows = b.column(0).to_pylist(), []
