@@ -5,12 +5,16 @@ of a term's hash votes with that weight, and the sign of the sum is the fingerpr
 Two votes share a 64-bit sum (32 bits each), so a fingerprint takes 64 sums in generated
 code, and partial aggregation leaves one row per text before anything is shuffled.
 
-``within`` finds all pairs of fingerprints within a Hamming radius by permuted block tables:
-the bits are cut into blocks; fingerprints that differ in at most r bits agree in all but r
-blocks, so each table is keyed by one choice of the blocks that agree.
+``within`` finds all pairs of fingerprints and queries within a Hamming radius by permuted block
+tables: the bits are cut into blocks; fingerprints that differ in at most r bits agree in all
+but r blocks, so each table is keyed by one choice of blocks that agree, and a pair counts in
+the first such table only.  The query set is documents whose id is divisible by ``EVERY``
+(null ids are none); for each, ``neighbours`` counts the documents within the radius.  Copies
+are one fingerprint with a count, and a join that Spark can split takes common keys.
 
 Nulls: a null text is an empty one, whose fingerprint is all zeros; null doc_ids sort first.
-Rows with equal doc_ids are ordered by text.  An empty table gives an empty result; a single
+Rows with equal doc_ids are ordered by text.
+``n_near`` and ``near_id`` are null outside the query set.  An empty table gives an empty result; a single
 row is its own next row.  Texts are read whole.
 """
 
@@ -28,6 +32,8 @@ BITS = 128
 #: Documents of one bucket of ids meet in one task, where each finds the next one.
 BUCKET_BITS, SUPER_BITS = 8, 12
 _LANES = 0x0000000100000001
+#: Hamming radius of near copies, blocks that agree in a table, and the query set: ids divisible by EVERY.
+RADIUS, SPARE, EVERY = 6, 2, 100
 
 
 def votes(terms: DataFrame, keys: list[str], a: Column, b: Column) -> DataFrame:
@@ -90,7 +96,7 @@ def with_next(docs: DataFrame) -> DataFrame:
 
 
 def edited_likeness(docs: DataFrame) -> DataFrame:
-    """Fingerprints of documents and of their edited texts, and the likeness of each to its edited text and to the next one."""
+    """Fingerprints of documents and of their edited texts, the likeness of each to its edited text and to the next one, and near documents of queries."""
     rows = with_next(docs).withColumn("n_chars", F.length("text").cast("long")).withColumn("_cut", F.floor(F.col("n_chars") / 4).cast("int"))
     rows = rows.withColumn("edited", F.concat(F.substring("text", F.lit(1), F.col("n_chars").cast("int") - F.col("_cut")), F.substring("next_text", F.lit(1), F.col("_cut"))))
     rows = rows.withColumn("edited_sha256", F.sha2(F.col("edited").cast("binary"), 256))
@@ -102,35 +108,61 @@ def edited_likeness(docs: DataFrame) -> DataFrame:
     one = K.durable(both.groupBy(*keys[:-1]).agg(pick(0, "f0").alias("f0"), pick(0, "f1").alias("f1"), pick(1, "f0").alias("e0"), pick(1, "f1").alias("e1")))
     after = one.select(F.col("bucket").alias("next_bucket"), F.col("rn").alias("next_rn"), F.col("f0").alias("n0"), F.col("f1").alias("n1"))
     near = lambda x, y: likeness(distance(F.col("f0"), F.col("f1"), F.col(x), F.col(y)))
-    return one.join(after, ["next_bucket", "next_rn"]).select(
+    return one.join(after, ["next_bucket", "next_rn"]).join(neighbours(one), ["doc_id", "f0", "f1"], "left").select(
         "doc_id", "n_chars", "edited_sha256", told(F.col("f0"), F.col("f1")).alias("fingerprint"), told(F.col("e0"), F.col("e1")).alias("edited_fingerprint"),
-        near("e0", "e1").alias("near_edited"), near("n0", "n1").alias("near_next"),
+        near("e0", "e1").alias("near_edited"), near("n0", "n1").alias("near_next"), "n_near", "near_id",
     )
 
 
-def within(prints: DataFrame, queries: DataFrame, radius: int = 3, spare: int = 2) -> DataFrame:
-    """All (fingerprint, query) pairs at most ``radius`` bits apart, with their distance.
+def _blocks(x0: Column, x1: Column, blocks: int) -> list[Column]:
+    """The bits of two words in blocks, as numbers (a block over both words joins its parts)."""
+    bounds, out = [round(k * BITS / blocks) for k in range(blocks + 1)], []
+    for lo, hi in zip(bounds, bounds[1:], strict=False):
+        parts = []
+        for word, x in ((0, x0), (1, x1)):
+            a, b = max(lo, 64 * word) - 64 * word, min(hi, 64 * word + 64) - 64 * word
+            if a < b:
+                parts.append((F.shiftrightunsigned(F.shiftleft(x, 64 - b), 64 - b + a), b - a))
+        out.append(parts[0][0] if len(parts) == 1 else F.shiftleft(parts[0][0], parts[1][1]).bitwiseOR(parts[1][0]))
+    return out
 
-    prints and queries have columns f0 and f1; each is made distinct first, so copies meet
-    once.  The bits are cut into radius + spare blocks, and each choice of ``spare`` blocks
-    that agree is a table.  A pair found in several tables is told once.
-    """
-    blocks = radius + spare
-    bounds = [round(k * BITS / blocks) for k in range(blocks + 1)]
 
-    def block(k: int) -> Column:
-        parts = []
-        for word, name in ((0, "f0"), (1, "f1")):
-            lo, hi = max(bounds[k], 64 * word) - 64 * word, min(bounds[k + 1], 64 * word + 64) - 64 * word
-            if lo < hi:
-                parts.append(F.shiftrightunsigned(F.shiftleft(F.col(name), 64 - hi), 64 - hi + lo))
-        return F.struct(*parts)
-
-    tables = F.explode(F.array(*[F.xxhash64(F.lit(t), *[block(k) for k in kept]) for t, kept in enumerate(combinations(range(blocks), spare))]))
-    p = prints.select("f0", "f1").distinct().select("f0", "f1", tables.alias("_key"))
-    q = queries.select("f0", "f1").distinct().select(F.col("f0").alias("q0"), F.col("f1").alias("q1"), "f0", "f1").select("q0", "q1", tables.alias("_key"))
+def _tables(radius: int, spare: int) -> list[tuple[int, ...]]:
+    return list(combinations(range(radius + spare), spare))
+
+
+def keyed(prints: DataFrame, radius: int, spare: int) -> DataFrame:
+    """Adds ``_table`` and ``_key``: a row for each permuted table, keyed by the blocks that must agree in it."""
+    b = _blocks(F.col("f0"), F.col("f1"), radius + spare)
+    rows = [F.struct(F.lit(t).alias("t"), F.xxhash64(F.lit(t), *[b[k] for k in kept]).alias("k")) for t, kept in enumerate(_tables(radius, spare))]
+    return prints.withColumn("_at", F.explode(F.array(*rows))).withColumns({"_table": F.col("_at.t"), "_key": F.col("_at.k")}).drop("_at")
+
+
+def within(prints: DataFrame, queries: DataFrame, radius: int = RADIUS, spare: int = SPARE) -> DataFrame:
+    """All (fingerprint, query) pairs at most ``radius`` bits apart, with their distance; each pair is told once.
+
+    prints and queries have columns f0 and f1, distinct in each; other columns of prints come along.
+    """
+    p = keyed(prints, radius, spare)
+    q = keyed(queries.select("f0", "f1"), radius, spare).withColumnsRenamed({"f0": "q0", "f1": "q1"})
     d = distance(F.col("f0"), F.col("f1"), F.col("q0"), F.col("q1"))
-    return p.join(q, "_key").where(d <= radius).select("f0", "f1", "q0", "q1", d.alias("distance")).distinct()
+    # The first blocks that agree name the table in which the pair counts.
+    same = [x == 0 for x in _blocks(F.col("f0").bitwiseXOR(F.col("q0")), F.col("f1").bitwiseXOR(F.col("q1")), radius + spare)]
+    first = None
+    for t, kept in enumerate(_tables(radius, spare)):
+        own = reduce(lambda x, y: x & y, [same[k] if k in kept else ~same[k] for k in range(kept[-1] + 1)])
+        first = F.when(own, F.lit(t)) if first is None else first.when(own, F.lit(t))
+    match = (p["_key"] == q["_key"]) & (p["_table"] == q["_table"]) & (d <= radius) & (first == p["_table"])
+    return p.join(q, match).drop("_table", "_key").withColumn("distance", d)
+
+
+def neighbours(prints: DataFrame, radius: int = RADIUS, spare: int = SPARE, every: int = EVERY) -> DataFrame:
+    """doc_id, f0, f1, n_near (other documents within the radius) and near_id (the smallest id of them, itself included) of the query set."""
+    queries = prints.where(F.col("doc_id") % every == 0).select("doc_id", "f0", "f1").distinct()
+    all_ = prints.groupBy("f0", "f1").agg(F.count("*").alias("_n"), F.min("doc_id").alias("_least"))
+    found = within(all_, queries.select("f0", "f1").distinct(), radius, spare)
+    found = found.groupBy("q0", "q1").agg((F.sum("_n") - 1).alias("n_near"), F.min("_least").alias("near_id"))
+    return queries.join(found.withColumnsRenamed({"q0": "f0", "q1": "f1"}), ["f0", "f1"])
 
 
 def op3_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -176,19 +176,56 @@ def test_simhash(spark, texts):
     assert fingerprints.edited_likeness(frame(spark, [])).count() == 0
 
 
-def test_permuted_tables(spark):
+def brute_print(spark, text):
+    """The fingerprint of a text, voted bit by bit."""
+    w = re.split("[ \t\n\x0b\f\r]+", text)
+    pairs = [(a, b) for a, b in zip(w, [*w[1:], None], strict=True)]
+    rows = spark.createDataFrame(pairs, "a string, b string").select(F.xxhash64("a", "b"), F.xxhash64("b", "a", F.lit(7)), F.length("a"), F.coalesce(F.length("b"), F.lit(0))).collect()
+    out = []
+    for k in range(2):
+        bits = 0
+        for i in range(64):
+            vote = sum((1 if r[k] >> i & 1 else -1) * min(r[2] + r[3], 24) for r in rows)
+            bits |= (vote > 0) << i
+        out.append(bits)
+    return out
+
+
+def test_fingerprints_by_brute_force(spark, texts):
+    docs = [(i * 50, t) for i, t in texts if i is not None][:-1]
+    docs += [(5000, docs[2][1] + " tail"), (5001, docs[2][1] + " tail"), (5002, "zz " + docs[2][1])]
+    got = {r["doc_id"]: r for r in fingerprints.edited_likeness(frame(spark, docs).repartition(3)).collect()}
+    prints = {}
+    for k, (d, t) in enumerate(docs):
+        t, after = t or "", docs[(k + 1) % len(docs)][1] or ""
+        m = len(t) // 4
+        own, edit = brute_print(spark, t), brute_print(spark, t[: len(t) - m] + after[:m])
+        prints[d] = (own, edit)
+        assert got[d]["fingerprint"] == "%016x%016x" % tuple(own) and got[d]["edited_fingerprint"] == "%016x%016x" % tuple(edit)
+    apart = lambda a, b: sum((x ^ y).bit_count() for x, y in zip(a, b, strict=True))
+    like = lambda n: max(0.0, np.cos(np.pi * n / 128))
+    for k, (d, _) in enumerate(docs):
+        own, edit = prints[d]
+        assert got[d]["near_edited"] == pytest.approx(like(apart(own, edit)), abs=1e-8)
+        assert got[d]["near_next"] == pytest.approx(like(apart(own, prints[docs[(k + 1) % len(docs)][0]][0])), abs=1e-8)
+        near = [x for x in prints if apart(own, prints[x][0]) <= fingerprints.RADIUS]
+        assert (got[d]["n_near"], got[d]["near_id"]) == ((len(near) - 1, min(near)) if d % 100 == 0 else (None, None))
+
+
+@pytest.mark.parametrize(("radius", "spare"), [(3, 2), (6, 2), (2, 1)])
+def test_permuted_tables(spark, radius, spare):
     r = random.Random(1)
     base = [(r.getrandbits(64), r.getrandbits(64)) for _ in range(30)]
     for a, b in base[:20]:
-        for n in (1, 2, 3, 4):
+        for n in range(1, radius + 2):
             x = a | b << 64
             for bit in r.sample(range(128), n):
                 x ^= 1 << bit
             base.append((x & (2**64 - 1), x >> 64))
     signed = lambda x: x - 2**64 if x >= 2**63 else x
     df = spark.createDataFrame([(signed(a), signed(b)) for a, b in base], "f0 long, f1 long")
-    want = sum((a ^ c).bit_count() + (b ^ d).bit_count() <= 3 for a, b in base for c, d in base)
-    assert fingerprints.within(df, df).count() == want
+    want = sorted((signed(a), signed(b), signed(c), signed(d)) for a, b in base for c, d in base if (a ^ c).bit_count() + (b ^ d).bit_count() <= radius)
+    assert by_id(fingerprints.within(df, df, radius, spare), "f0", "f1", "q0", "q1") == sorted(want, key=str)
 
 
 def test_licenses(spark):
