@@ -33,7 +33,7 @@ BITS = 128
 BUCKET_BITS, SUPER_BITS = 8, 12
 _LANES = 0x0000000100000001
 #: Hamming radius of near copies, blocks that agree in a table, and the query set: ids divisible by EVERY.
-RADIUS, SPARE, EVERY = 6, 2, 100
+RADIUS, SPARE, EVERY = 4, 2, 100
 
 
 def votes(terms: DataFrame, keys: list[str], a: Column, b: Column) -> DataFrame:
@@ -132,35 +132,36 @@ def _tables(radius: int, spare: int) -> list[tuple[int, ...]]:
 
 
 def keyed(prints: DataFrame, radius: int, spare: int) -> DataFrame:
-    """Adds ``_table`` and ``_key``: a row for each permuted table, keyed by the blocks that must agree in it."""
-    b = _blocks(F.col("f0"), F.col("f1"), radius + spare)
-    rows = [F.struct(F.lit(t).alias("t"), F.xxhash64(F.lit(t), *[b[k] for k in kept]).alias("k")) for t, kept in enumerate(_tables(radius, spare))]
-    return prints.withColumn("_at", F.explode(F.array(*rows))).withColumns({"_table": F.col("_at.t"), "_key": F.col("_at.k")}).drop("_at")
+    """f0, f1 and ``_key``: a row for each permuted table, keyed by a hash of the blocks that must agree in it; its last bits are the table's number."""
+    b, tables = _blocks(F.col("f0"), F.col("f1"), radius + spare), _tables(radius, spare)
+    low = len(tables).bit_length()
+    keys = [F.shiftleft(F.xxhash64(F.lit(t), *[b[k] for k in kept]), low).bitwiseOR(F.lit(t)) for t, kept in enumerate(tables)]
+    return prints.select("f0", "f1", F.explode(F.array(*keys)).alias("_key"))
 
 
 def within(prints: DataFrame, queries: DataFrame, radius: int = RADIUS, spare: int = SPARE) -> DataFrame:
     """All (fingerprint, query) pairs at most ``radius`` bits apart, with their distance; each pair is told once.
 
-    prints and queries have columns f0 and f1, distinct in each; other columns of prints come along.
+    prints and queries have columns f0 and f1, distinct in each.
     """
     p = keyed(prints, radius, spare)
-    q = keyed(queries.select("f0", "f1"), radius, spare).withColumnsRenamed({"f0": "q0", "f1": "q1"})
+    q = keyed(queries, radius, spare).withColumnsRenamed({"f0": "q0", "f1": "q1"})
     d = distance(F.col("f0"), F.col("f1"), F.col("q0"), F.col("q1"))
     # The first blocks that agree name the table in which the pair counts.
     same = [x == 0 for x in _blocks(F.col("f0").bitwiseXOR(F.col("q0")), F.col("f1").bitwiseXOR(F.col("q1")), radius + spare)]
-    first = None
-    for t, kept in enumerate(_tables(radius, spare)):
+    first, tables = None, _tables(radius, spare)
+    for t, kept in enumerate(tables):
         own = reduce(lambda x, y: x & y, [same[k] if k in kept else ~same[k] for k in range(kept[-1] + 1)])
         first = F.when(own, F.lit(t)) if first is None else first.when(own, F.lit(t))
-    match = (p["_key"] == q["_key"]) & (p["_table"] == q["_table"]) & (d <= radius) & (first == p["_table"])
-    return p.join(q, match).drop("_table", "_key").withColumn("distance", d)
+    table = p["_key"].bitwiseAND(F.lit((1 << len(tables).bit_length()) - 1))
+    return p.join(q, (p["_key"] == q["_key"]) & (d <= radius) & (first == table)).drop("_key").withColumn("distance", d)
 
 
 def neighbours(prints: DataFrame, radius: int = RADIUS, spare: int = SPARE, every: int = EVERY) -> DataFrame:
     """doc_id, f0, f1, n_near (other documents within the radius) and near_id (the smallest id of them, itself included) of the query set."""
     queries = prints.where(F.col("doc_id") % every == 0).select("doc_id", "f0", "f1").distinct()
     all_ = prints.groupBy("f0", "f1").agg(F.count("*").alias("_n"), F.min("doc_id").alias("_least"))
-    found = within(all_, queries.select("f0", "f1").distinct(), radius, spare)
+    found = within(all_, queries.select("f0", "f1").distinct(), radius, spare).join(all_, ["f0", "f1"])
     found = found.groupBy("q0", "q1").agg((F.sum("_n") - 1).alias("n_near"), F.min("_least").alias("near_id"))
     return queries.join(found.withColumnsRenamed({"q0": "f0", "q1": "f1"}), ["f0", "f1"])
 
