@@ -7,31 +7,40 @@ from functools import cached_property
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..plans.checkpoint import durable
 from ..sources.tables import Tables, kind_ord, severity
+from . import links, splits
 
 #: Fixed values of the simulated panel: system, per cent of gold dropped, per cent of noise.
 PANEL = [(1, 32, 12), (2, 30, 11), (3, 27, 10), (4, 38, 14), (5, 34, 18), (6, 34, 15), (7, 35, 16), (8, 32, 20), (9, 46, 24), (10, 71, 30)]
 
 
 class Labels:
-    """Gold labels of given patients, lazily."""
+    """Gold labels of given patients, lazily; with ``split``, of the patients of this split only."""
 
-    def __init__(self, t: Tables):
-        self.t = t
+    def __init__(self, t: Tables, split: str | None = None):
+        self.t, self.split = t, split
+
+    @cached_property
+    def cases(self) -> DataFrame:
+        if self.split is None:
+            return self.t.src_case
+        own = splits.assign(self.t).where(F.col("split") == self.split).select(F.col("patient_id").alias("subject_id"))
+        return durable(self.t.src_case.join(own, "subject_id", "left_semi"))  # every label starts here
 
     @cached_property
     def patient_dx(self) -> DataFrame:
         """Primary diagnoses of a patient's encounters with their greatest severity weight."""
-        rows = self.t.src_case.join(self.t.case_dx.where("role = 'primary'"), "case_id")
+        rows = self.cases.join(self.t.case_dx.where("role = 'primary'"), "case_id")
         return rows.groupBy(F.col("subject_id").alias("patient_id"), "dx_id").agg(F.max(severity()).alias("weight"), F.min("acuity").alias("acuity"))
 
     @cached_property
     def documented(self) -> DataFrame:
-        return self.t.src_case.join(self.t.case_dx, "case_id").select(F.col("subject_id").alias("patient_id"), "dx_id").distinct()
+        return self.cases.join(self.t.case_dx, "case_id").select(F.col("subject_id").alias("patient_id"), "dx_id").distinct()
 
     @cached_property
     def chart_finding(self) -> DataFrame:
-        rows = self.t.src_case.join(self.t.case_finding, "case_id")
+        rows = self.cases.join(self.t.case_finding, "case_id")
         return rows.groupBy(F.col("subject_id").alias("patient_id"), "finding_id").agg(F.max("relevance").alias("relevance"))
 
     @cached_property
@@ -48,7 +57,7 @@ class Labels:
     def section_grade(self) -> DataFrame:
         """Grade 0-3 of every chart section for its patient's query diagnosis. [D]"""
         t = self.t
-        rows = self.query_dx.join(t.src_case.select("case_id", F.col("subject_id").alias("patient_id")), "patient_id").join(t.case_finding, "case_id").join(t.finding_node.select("finding_id", "kind"), "finding_id")
+        rows = self.query_dx.join(self.cases.select("case_id", F.col("subject_id").alias("patient_id")), "patient_id").join(t.case_finding, "case_id").join(t.finding_node.select("finding_id", "kind"), "finding_id")
         rows = rows.join(t.dx_finding.select("dx_id", "finding_id", F.col("grade").alias("edge")), ["dx_id", "finding_id"], "left")
         g = F.when(F.col("edge").isNull(), 0).when((F.col("relevance") == 3) & (F.col("edge") == 3), 3).when(F.col("relevance") >= 2, 2).otherwise(1)
         return rows.groupBy("patient_id", (F.col("case_id") * 10 + kind_ord("kind")).alias("section_id")).agg(F.max(g).alias("grade"))
@@ -56,16 +65,25 @@ class Labels:
     @cached_property
     def imaging_gold(self) -> DataFrame:
         t = self.t
-        img = t.case_finding.join(t.finding_node.where("kind = 'imaging'").select("finding_id"), "finding_id").select(F.col("case_id").alias("instance_id"), F.col("finding_id").alias("concept"))
+        own = self.cases.select("case_id")
+        img = t.case_finding.join(own, "case_id", "left_semi").join(t.finding_node.where("kind = 'imaging'").select("finding_id"), "finding_id").select(F.col("case_id").alias("instance_id"), F.col("finding_id").alias("concept"))
         dx = t.case_dx.where("role = 'primary'").join(img.select(F.col("instance_id").alias("case_id")).distinct(), "case_id", "left_semi")
         return img.unionByName(dx.select(F.col("case_id").alias("instance_id"), (F.lit(1000000000) + F.col("dx_id")).alias("concept"))).distinct()
 
     @cached_property
     def spec_gold(self) -> DataFrame:
-        """Findings of a patient that a specialty's (non-differential) diagnoses own."""
+        """Findings of a patient that a specialty's (non-differential) diagnoses own, or a diagnosis of the patient that is linked to one of them."""
         t = self.t
-        rows = t.src_case.select("case_id", F.col("subject_id").alias("patient_id")).join(t.case_dx.where("role <> 'differential'"), "case_id").join(F.broadcast(t.dx_node.select("dx_id", F.col("category").alias("specialty"))), "dx_id")
-        return rows.join(t.case_finding.select("case_id", "finding_id"), "case_id").join(t.dx_finding.select("dx_id", "finding_id"), ["dx_id", "finding_id"]).select("patient_id", "specialty", "finding_id").distinct()
+        dx = self.cases.select("case_id", F.col("subject_id").alias("patient_id")).join(t.case_dx.where("role <> 'differential'").select("case_id", "dx_id"), "case_id")
+        owned = dx.join(t.case_finding.select("case_id", "finding_id"), "case_id").join(t.dx_finding.select("dx_id", "finding_id"), ["dx_id", "finding_id"]).select("patient_id", "dx_id", "finding_id").distinct()
+        node = t.dx_node.select(F.col("dx_id").alias("head"), F.col("category").alias("specialty"))
+        pairs = links.every(t).select("a", "b")
+        hops = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).select(F.col("a").alias("head"), F.col("b").alias("dx_id"))
+        mine = dx.select("patient_id", "dx_id").distinct()
+        # A patient's own pairs of diagnoses that are linked; each patient has few diagnoses.
+        near = mine.join(mine.select("patient_id", F.col("dx_id").alias("head")), "patient_id").join(hops, ["head", "dx_id"], "left_semi")
+        of = mine.withColumn("head", F.col("dx_id")).unionByName(near).join(F.broadcast(node), "head").select("patient_id", "dx_id", "specialty").distinct()
+        return of.join(owned, ["patient_id", "dx_id"]).select("patient_id", "specialty", "finding_id").distinct()
 
     @cached_property
     def absent_specialty(self) -> DataFrame:
@@ -83,9 +101,9 @@ class Labels:
 class Panel:
     """Predictions of the simulated systems: integer arithmetic decides what is kept and what is noise."""
 
-    def __init__(self, labels: Labels):
+    def __init__(self, labels: Labels, most: int = len(PANEL)):
         self.l = labels
-        self.systems = F.broadcast(labels.t.spark.createDataFrame(PANEL, "m int, drops int, noise int"))
+        self.systems = F.broadcast(labels.t.spark.createDataFrame(PANEL[:most], "m int, drops int, noise int"))
 
     @staticmethod
     def kept(item: str, key: str, more: int = 0):

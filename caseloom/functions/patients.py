@@ -23,9 +23,9 @@ def eligible(cases: DataFrame, case_dx: DataFrame) -> DataFrame:
     return cases.select("case_id", "sex", "age_years", age_bucket().alias("bucket")).join(case_dx.where("role <> 'differential'").select("case_id", "dx_id"), "case_id")
 
 
-def compatible_pairs(cases: DataFrame, case_dx: DataFrame, below: int = 400) -> DataFrame:
-    """All compatible pairs of the cases with small ids, with the number of shared diagnoses."""
-    c = eligible(cases.where(F.col("case_id") < below), case_dx)
+def compatible_pairs(cases: DataFrame, case_dx: DataFrame) -> DataFrame:
+    """All compatible pairs of cases with the number of shared diagnoses (the exact baseline, quadratic in a diagnosis of a block; ``case_edges`` is for scale)."""
+    c = eligible(cases, case_dx)
     a, b = c.select("sex", "bucket", "dx_id", F.col("case_id").alias("x"), F.col("age_years").alias("ax")), c.select("sex", "bucket", "dx_id", F.col("case_id").alias("y"), F.col("age_years").alias("ay"))
     return a.join(b, ["sex", "bucket", "dx_id"]).where((F.col("x") < F.col("y")) & (F.abs(F.col("ax") - F.col("ay")) <= WIDTH)).groupBy("x", "y").agg(F.count("*").alias("shared"))
 

@@ -10,7 +10,6 @@ from pyspark.sql.functions import udtf
 from ..functions import stats as X
 from ..sources.tables import Tables
 from .registry import register
-from .scoring import reward_range
 
 
 def folder(spark) -> str:
@@ -62,4 +61,3 @@ for f in ("json", "csv", "orc"):
 register("q_sink_partitioned", partitioned, "SELECT c_custkey FROM customer WHERE c_custkey % 5 = 0")
 register("q_udtf_sections", sections, "SELECT doc_id, CAST(i - 1 AS INT) AS ord, CASE WHEN contains(line, '|') THEN 'table' WHEN contains(lower(line), 'licen') THEN 'notice' ELSE 'narrative' END AS stype, CAST(length(line) AS INT) AS n FROM (SELECT doc_id, i, parts[i] AS line FROM (SELECT doc_id, parts, unnest(range(1, len(parts) + 1)) AS i FROM (SELECT doc_id, string_split(text, chr(10)) AS parts FROM documents))) WHERE length(line) > 0")
 register("q_udf_binom", binomials)
-register("q_reward_range", reward_range, "SELECT 0::BIGINT AS outside")

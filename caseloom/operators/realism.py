@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from ..functions import score as S
 from ..functions import stats as X
 from ..functions.labels import Labels
-from ..plans.oracle import sql
+from ..plans.oracle import SEV, sql
 from ..sources.tables import Tables, severity
 from .registry import register
 
@@ -36,11 +36,11 @@ d("q_fleiss", lambda t: X.fleiss_kappa(judgments(t)), f"SELECT round((po - pe) /
 PT = f"(SELECT rater, avg({H}) FILTER (WHERE truth = 0) - avg({H}) FILTER (WHERE truth = 1) AS diff FROM {J} GROUP BY 1)"
 paired = lambda t: judgments(t).groupBy("rater").agg((F.avg(F.expr(f"CASE WHEN truth = 0 THEN {HIT} END")) - F.avg(F.expr(f"CASE WHEN truth = 1 THEN {HIT} END"))).alias("diff"))
 d("q_paired_t", lambda t: paired(t).agg(F.round(F.avg("diff") / (F.stddev_samp("diff") / F.sqrt(F.count("*"))), 6).alias("t"), (F.count("*") - 1).alias("df")), f"SELECT round(avg(diff) / (stddev_samp(diff) / sqrt(count(*))), 6) AS t, count(*) - 1 AS df FROM {PT}")
-per_rater = lambda t: judgments(t).where("record_id < 100").groupBy("rater").agg(F.sum(F.expr(HIT)).alias("k"), F.count("*").alias("n")).select("rater", F.round(X.binom_p("k", "n"), 9).alias("p"))
+per_rater = lambda t: judgments(t).groupBy("rater").agg(F.sum(F.expr(HIT)).alias("k"), F.count("*").alias("n")).select("rater", F.round(X.binom_p("k", "n"), 9).alias("p"))
 d("q_binom", per_rater)
 d("q_holm", lambda t: X.holm(t.spark.range(1, 11).select(F.col("id").alias("rater"), ((F.col("id") * 7 % 10 + 1) / 100.0).alias("p"))).select("rater", F.round("adjusted", 6).alias("adjusted")), "SELECT rater, round(least(1.0, max(s) OVER (ORDER BY p, rater ROWS UNBOUNDED PRECEDING)), 6) AS adjusted FROM (SELECT r AS rater, p, p * (10 - row_number() OVER (ORDER BY p, r) + 1) AS s FROM (SELECT r, (r*7 % 10 + 1) / 100.0 AS p FROM range(1, 11) AS x(r)))")
-d("q_bootstrap_ci", lambda t: X.bootstrap_ci(judgments(t).where("record_id < 50").withColumn("hit", F.expr(HIT)).select(F.struct("rater", "record_id").alias("id"), "hit"), "hit", 200))
-d("q_rater_order", lambda t: t.labels.where("doc_id < 40").crossJoin(F.broadcast(t.spark.range(1, 11).withColumnRenamed("id", "rater"))).select("rater", "doc_id", F.row_number().over(Window.partitionBy("rater").orderBy((F.col("doc_id") * 7919 + F.col("rater") * 104729) % 10007, "doc_id")).cast("long").alias("place")), "SELECT r AS rater, doc_id, row_number() OVER (PARTITION BY r ORDER BY (doc_id*7919 + r*104729) % 10007, doc_id) AS place FROM labels, range(1, 11) AS x(r) WHERE doc_id < 40")
+d("q_bootstrap_ci", lambda t: X.bootstrap_ci(judgments(t).withColumn("hit", F.expr(HIT)).select(F.struct("rater", "record_id").alias("id"), "hit"), "hit", 200))
+d("q_rater_order", lambda t: t.labels.crossJoin(F.broadcast(t.spark.range(1, 11).withColumnRenamed("id", "rater"))).select("rater", "doc_id", F.row_number().over(Window.partitionBy("rater").orderBy((F.col("doc_id") * 7919 + F.col("rater") * 104729) % 10007, "doc_id")).cast("long").alias("place")), "SELECT r AS rater, doc_id, row_number() OVER (PARTITION BY r ORDER BY (doc_id*7919 + r*104729) % 10007, doc_id) AS place FROM labels, range(1, 11) AS x(r)")
 
 
 def matched(t):
@@ -162,7 +162,8 @@ last = lambda t: t.src_case.withColumn("_r", F.row_number().over(Window.partitio
 recon("q_rec_all", lambda t, g: g.documented, "SELECT patient_id, dx_id FROM documented")
 recon("q_rec_latest", lambda t, g: last(t).join(t.case_dx, "case_id").select(F.col("subject_id").alias("patient_id"), "dx_id").distinct(), "SELECT DISTINCT subject_id AS patient_id, dx_id FROM (SELECT *, row_number() OVER (PARTITION BY subject_id ORDER BY recorded_at DESC, case_id DESC) AS r FROM src_case) JOIN case_dx USING (case_id) WHERE r = 1")
 recon("q_rec_repeat", lambda t, g: t.src_case.join(t.case_dx, "case_id").groupBy(F.col("subject_id").alias("patient_id"), "dx_id").count().where("count >= 2").select("patient_id", "dx_id"), "SELECT subject_id AS patient_id, dx_id FROM src_case JOIN case_dx USING (case_id) GROUP BY 1, 2 HAVING count(*) >= 2")
-recon("q_rec_topn", lambda t, g: g.patient_dx.withColumn("_r", F.row_number().over(Window.partitionBy("patient_id").orderBy(F.desc("weight"), "dx_id"))).where("_r <= 5").select("patient_id", "dx_id"), "SELECT patient_id, dx_id FROM (SELECT *, row_number() OVER (PARTITION BY patient_id ORDER BY weight DESC, dx_id) AS r FROM patient_dx) WHERE r <= 5")
+severe = lambda t: t.src_case.join(t.case_dx, "case_id").groupBy(F.col("subject_id").alias("patient_id"), "dx_id").agg(F.max(severity()).alias("w"))
+recon("q_rec_topn", lambda t, g: severe(t).withColumn("_r", F.row_number().over(Window.partitionBy("patient_id").orderBy(F.desc("w"), "dx_id"))).where("_r <= 5").select("patient_id", "dx_id"), f"SELECT patient_id, dx_id FROM (SELECT *, row_number() OVER (PARTITION BY patient_id ORDER BY w DESC, dx_id) AS r FROM (SELECT subject_id AS patient_id, dx_id, max({SEV}) AS w FROM src_case JOIN case_dx USING (case_id) GROUP BY 1, 2)) WHERE r <= 5")
 
 
 def summary(key, order_spark, order_sql):

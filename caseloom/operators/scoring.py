@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from .. import fixtures
@@ -9,32 +10,39 @@ from ..functions import score as S
 from ..functions.labels import Labels, Panel
 from ..plans.oracle import sql
 from ..sources.tables import Tables
+from . import construct
 from .registry import register
 
 
-def q(key, fn, oracle=None):
+def q(key, fn, oracle=None, split="public"):
+    """Registers a query over the patients of a split: scores are those of the public one, labels those of all."""
+
     def run(spark, sf_dir):
-        labels = Labels(Tables(spark, sf_dir))
+        labels = Labels(Tables(spark, sf_dir), split)
         return fn(labels, Panel(labels))
 
-    register(key, run, sql(oracle) if oracle else None)
+    register(key, run, sql(oracle, split) if oracle else None)
+
+
+def label(key, fn, oracle=None):
+    q(key, fn, oracle, None)
 
 
 SEVF = "SELECT m, patient_id, CASE WHEN gold + 0 = 0 THEN 1.0 ELSE 2.0 * coalesce(hit, 0) / (coalesce(hit, 0) + coalesce(extra, 0) + gold) END AS value FROM (SELECT patient_id, sum({w}) AS gold FROM patient_dx GROUP BY 1) CROSS JOIN systems LEFT JOIN (SELECT m, patient_id, sum({w}) AS hit FROM (SELECT DISTINCT * FROM pred_dx) JOIN patient_dx USING (patient_id, dx_id) GROUP BY 1, 2) USING (m, patient_id) LEFT JOIN (SELECT m, patient_id, count(*) AS extra FROM (SELECT DISTINCT * FROM pred_dx) ANTI JOIN patient_dx USING (patient_id, dx_id) {anti} GROUP BY 1, 2) USING (m, patient_id)"
 MACRO = "SELECT m, round(avg(value), 6) AS score, count(*) AS n FROM ({}) GROUP BY m"
 NEUTRAL, STRICT, PLAIN = SEVF.format(w="weight", anti="ANTI JOIN documented USING (patient_id, dx_id)"), SEVF.format(w="weight", anti=""), SEVF.format(w="1", anti="")
 
-q("q_label_patient_dx", lambda g, p: g.patient_dx, "SELECT * FROM patient_dx")
-q("q_label_key_findings", lambda g, p: g.key_finding, "SELECT * FROM key_finding")
-q("q_label_grades", lambda g, p: g.section_grade, "SELECT * FROM section_grade")
-q("q_label_specialty", lambda g, p: g.spec_gold, "SELECT * FROM spec_gold")
-q("q_label_absent", lambda g, p: g.absent_specialty, "SELECT patient_id, specialty FROM spec_item WHERE absent")
-q("q_label_imaging", lambda g, p: g.imaging_gold.groupBy("instance_id").agg(F.count("*").alias("n_concepts"), F.concat(F.lit("Imaging for "), F.array_join(F.array_sort(F.collect_set(F.col("concept").cast("string"))), " ")).alias("order_text")), "SELECT instance_id, count(*) AS n_concepts, 'Imaging for ' || array_to_string(list_sort(list(DISTINCT CAST(concept AS VARCHAR))), ' ') AS order_text FROM imaging_gold GROUP BY 1")
+label("q_label_patient_dx", lambda g, p: g.patient_dx, "SELECT * FROM patient_dx")
+label("q_label_key_findings", lambda g, p: g.key_finding, "SELECT * FROM key_finding")
+label("q_label_grades", lambda g, p: g.section_grade, "SELECT * FROM section_grade")
+label("q_label_specialty", lambda g, p: g.spec_gold, "SELECT * FROM spec_gold")
+label("q_label_absent", lambda g, p: g.absent_specialty, "SELECT patient_id, specialty FROM spec_item WHERE absent")
+label("q_label_imaging", lambda g, p: g.imaging_gold.groupBy("instance_id").agg(F.count("*").alias("n_concepts"), F.concat(F.lit("Imaging for "), F.array_join(F.array_sort(F.collect_set(F.col("concept").cast("string"))), " ")).alias("order_text")), "SELECT instance_id, count(*) AS n_concepts, 'Imaging for ' || array_to_string(list_sort(list(DISTINCT CAST(concept AS VARCHAR))), ' ') AS order_text FROM imaging_gold GROUP BY 1")
 q("q_panel_scores", lambda g, p: p.dx.distinct().groupBy("m").agg(F.count("*").alias("n")), "SELECT m, count(*) AS n FROM (SELECT DISTINCT * FROM pred_dx) GROUP BY 1")
-q("q_sev_f1_neutral", lambda g, p: S.macro(S.severity_f1(p.dx, g.patient_dx, neutral=g.documented)), MACRO.format(NEUTRAL))
-q("q_sev_f1_strict", lambda g, p: S.macro(S.severity_f1(p.dx, g.patient_dx)), MACRO.format(STRICT))
-q("q_sev_f1", lambda g, p: S.severity_f1(p.dx, g.patient_dx, neutral=g.documented).withColumn("value", F.round("value", 6)), f"SELECT m, patient_id, round(value, 6) AS value FROM ({NEUTRAL})")
-q("q_dx_f1_plain", lambda g, p: S.macro(S.severity_f1(p.dx, g.patient_dx.withColumn("one", F.lit(1.0)), weight="one")), MACRO.format(PLAIN))
+q("q_sev_f1_neutral", lambda g, p: S.macro(S.severity_f1(p.dx, g.patient_dx, neutral=g.documented, systems=p.systems)), MACRO.format(NEUTRAL))
+q("q_sev_f1_strict", lambda g, p: S.macro(S.severity_f1(p.dx, g.patient_dx, systems=p.systems)), MACRO.format(STRICT))
+q("q_sev_f1", lambda g, p: S.severity_f1(p.dx, g.patient_dx, neutral=g.documented, systems=p.systems).withColumn("value", F.round("value", 6)), f"SELECT m, patient_id, round(value, 6) AS value FROM ({NEUTRAL})")
+q("q_dx_f1_plain", lambda g, p: S.macro(S.severity_f1(p.dx, g.patient_dx.withColumn("one", F.lit(1.0)), weight="one", systems=p.systems)), MACRO.format(PLAIN))
 
 
 def by_level(level):
@@ -42,7 +50,7 @@ def by_level(level):
         of = F.broadcast(g.t.dx_node.select("dx_id", F.col(level).alias("code")))
         pred = p.dx.join(of, "dx_id").select("m", "patient_id", "code").distinct()
         gold = g.patient_dx.join(of, "dx_id").groupBy("patient_id", "code").agg(F.max("weight").alias("weight"))
-        return S.macro(S.severity_f1(pred, gold, item="code"))
+        return S.macro(S.severity_f1(pred, gold, item="code", systems=p.systems))
 
     return run
 
@@ -66,26 +74,26 @@ def prf_sql(pred, gold, keys, item, instances=None):
 
 
 FIND = prf_sql("pred_finding", "key_finding", ["patient_id"], "finding_id")
-findings = lambda g, p: S.set_prf(p.finding, g.key_finding, keys=["patient_id"], item="finding_id")
+findings = lambda g, p: S.set_prf(p.finding, g.key_finding, keys=["patient_id"], item="finding_id", systems=p.systems)
 q("q_finding_f1", lambda g, p: S.macro(findings(g, p)), MACRO.format(FIND))
 q("q_missed_share", lambda g, p: findings(g, p).groupBy("m").agg(F.round(1 - F.avg("recall"), 6).alias("missed")), f"SELECT m, round(1 - avg(recall), 6) AS missed FROM ({FIND}) GROUP BY 1")
 q("q_finding_f1_micro", lambda g, p: findings(g, p).groupBy("m").agg(F.round(2.0 * F.sum("hit") / (F.sum("n_pred") + F.sum("n_gold")), 6).alias("micro")), f"SELECT m, round(2.0 * sum(hit) / (sum(n_pred) + sum(n_gold)), 6) AS micro FROM ({FIND}) GROUP BY 1")
 q("q_recall_by_kind", lambda g, p: g.key_finding.join(F.broadcast(g.t.finding_node.select("finding_id", "kind")), "finding_id").crossJoin(p.systems).join(p.finding.withColumn("hit", F.lit(1)), ["m", "patient_id", "finding_id"], "left").groupBy("m", "kind").agg(F.round(F.sum(F.coalesce("hit", F.lit(0))) / F.count("*"), 6).alias("recall")), "SELECT m, kind, round(sum(CASE WHEN p.finding_id IS NULL THEN 0 ELSE 1 END) / count(*), 6) AS recall FROM key_finding k JOIN finding_node USING (finding_id) CROSS JOIN systems LEFT JOIN pred_finding p USING (m, patient_id, finding_id) GROUP BY 1, 2")
 SPEC = prf_sql("pred_spec", "spec_gold", ["patient_id", "specialty"], "finding_id", "spec_item")
-specs = lambda g, p: S.set_prf(p.specialty, g.spec_gold, keys=["patient_id", "specialty"], item="finding_id", instances=g.spec_item)
+specs = lambda g, p: S.set_prf(p.specialty, g.spec_gold, keys=["patient_id", "specialty"], item="finding_id", instances=g.spec_item, systems=p.systems)
 q("q_specialty_f1", lambda g, p: S.macro(specs(g, p)), MACRO.format(SPEC))
 q("q_abstain_acc", lambda g, p: specs(g, p).where("n_gold = 0").groupBy("m").agg(F.round(F.avg((F.col("n_pred") == 0).cast("double")), 6).alias("abstain_acc")), f"SELECT m, round(avg(CASE WHEN n_pred = 0 THEN 1.0 ELSE 0.0 END), 6) AS abstain_acc FROM ({SPEC}) WHERE n_gold = 0 GROUP BY 1")
 q("q_offspecialty", lambda g, p: specs(g, p).groupBy("m").agg(F.round(F.sum(F.col("n_pred") - F.col("hit")) / F.sum("n_pred"), 6).alias("off_share")), f"SELECT m, round(sum(n_pred - hit) / sum(n_pred), 6) AS off_share FROM ({SPEC}) GROUP BY 1")
 P5 = "SELECT m, patient_id, sum(CASE WHEN grade >= 2 THEN 1 ELSE 0 END) / 5 AS value FROM ranked JOIN section_grade USING (patient_id, section_id) WHERE rank <= 5 GROUP BY 1, 2"
 NDCG = "SELECT m, patient_id, dcg / ideal AS value FROM (SELECT m, patient_id, sum({g} / log2(rank + 1.0)) AS dcg FROM ranked JOIN section_grade USING (patient_id, section_id) WHERE rank <= 10 GROUP BY 1, 2) JOIN (SELECT patient_id, sum({g} / log2(rn + 1.0)) AS ideal FROM (SELECT *, row_number() OVER (PARTITION BY patient_id ORDER BY grade DESC, section_id) AS rn FROM section_grade) WHERE rn <= 10 GROUP BY 1) USING (patient_id) WHERE ideal > 0"
-q("q_p_at_5", lambda g, p: S.macro(S.precision_at(p.ranked, g.section_grade)), MACRO.format(P5))
-q("q_ndcg_10", lambda g, p: S.macro(S.ndcg_at(p.ranked, g.section_grade)), MACRO.format(NDCG.format(g="(pow(2.0, grade) - 1)")))
-q("q_ndcg_10_linear", lambda g, p: S.macro(S.ndcg_at(p.ranked, g.section_grade, kind="linear")), MACRO.format(NDCG.format(g="grade")))
+q("q_p_at_5", lambda g, p: S.macro(S.precision_at(p.ranked, g.section_grade, systems=p.systems)), MACRO.format(P5))
+q("q_ndcg_10", lambda g, p: S.macro(S.ndcg_at(p.ranked, g.section_grade, systems=p.systems)), MACRO.format(NDCG.format(g="(pow(2.0, grade) - 1)")))
+q("q_ndcg_10_linear", lambda g, p: S.macro(S.ndcg_at(p.ranked, g.section_grade, systems=p.systems, kind="linear")), MACRO.format(NDCG.format(g="grade")))
 RANKED = "SELECT m, patient_id, coalesce(mrr, 0) AS mrr, coalesce(ap, 0) / n AS map, coalesce(inside, 0) / n AS recall FROM (SELECT patient_id, count(*) AS n FROM section_grade WHERE grade >= 2 GROUP BY 1) CROSS JOIN systems LEFT JOIN (SELECT m, patient_id, 1.0 / min(rank) AS mrr, sum(k / rank) AS ap, sum(CASE WHEN rank <= 10 THEN 1 ELSE 0 END) AS inside FROM (SELECT m, patient_id, rank, row_number() OVER (PARTITION BY m, patient_id ORDER BY rank) AS k FROM ranked JOIN section_grade USING (patient_id, section_id) WHERE grade >= 2) GROUP BY 1, 2) USING (m, patient_id)"
 for name, col in (("q_mrr", "mrr"), ("q_map", "map"), ("q_recall_at_k", "recall")):
-    q(name, lambda g, p, c=col: S.macro(S.rank_metrics(p.ranked, g.section_grade), value=c), f"SELECT m, round(avg({col}), 6) AS score, count(*) AS n FROM ({RANKED}) GROUP BY m")
+    q(name, lambda g, p, c=col: S.macro(S.rank_metrics(p.ranked, g.section_grade, systems=p.systems), value=c), f"SELECT m, round(avg({col}), 6) AS score, count(*) AS n FROM ({RANKED}) GROUP BY m")
 IMG = prf_sql("pred_imaging", "imaging_gold", ["instance_id"], "concept")
-images = lambda g, p: S.set_prf(p.imaging, g.imaging_gold, keys=["instance_id"], item="concept")
+images = lambda g, p: S.set_prf(p.imaging, g.imaging_gold, keys=["instance_id"], item="concept", systems=p.systems)
 q("q_concept_f1", lambda g, p: S.macro(images(g, p)), MACRO.format(IMG))
 TOK = ("(SELECT DISTINCT m, instance_id, unnest(string_split(term, ' ')) AS token FROM pred_imaging JOIN finding_node ON concept = finding_id)", "(SELECT DISTINCT instance_id, unnest(string_split(term, ' ')) AS token FROM imaging_gold JOIN finding_node ON concept = finding_id)")
 
@@ -94,12 +102,12 @@ def tokens(frame, g, keys):
     return frame.join(F.broadcast(g.t.finding_node.select(F.col("finding_id").alias("concept"), "term")), "concept").select(*keys, F.explode(F.split("term", " ")).alias("token")).distinct()
 
 
-q("q_token_f1", lambda g, p: S.macro(S.set_prf(tokens(p.imaging, g, ["m", "instance_id"]), tokens(g.imaging_gold, g, ["instance_id"]), keys=["instance_id"], item="token")), MACRO.format(prf_sql(*TOK, ["instance_id"], "token")))
-q("q_preread_f1", lambda g, p: S.macro(S.set_prf(p.imaging.where("concept < 1000000000"), g.imaging_gold.where("concept < 1000000000"), keys=["instance_id"], item="concept")), MACRO.format(prf_sql("(SELECT * FROM pred_imaging WHERE concept < 1000000000)", "(SELECT * FROM imaging_gold WHERE concept < 1000000000)", ["instance_id"], "concept")))
+q("q_token_f1", lambda g, p: S.macro(S.set_prf(tokens(p.imaging, g, ["m", "instance_id"]), tokens(g.imaging_gold, g, ["instance_id"]), keys=["instance_id"], item="token", systems=p.systems)), MACRO.format(prf_sql(*TOK, ["instance_id"], "token")))
+q("q_preread_f1", lambda g, p: S.macro(S.set_prf(p.imaging.where("concept < 1000000000"), g.imaging_gold.where("concept < 1000000000"), keys=["instance_id"], item="concept", systems=p.systems)), MACRO.format(prf_sql("(SELECT * FROM pred_imaging WHERE concept < 1000000000)", "(SELECT * FROM imaging_gold WHERE concept < 1000000000)", ["instance_id"], "concept")))
 
 
 def zero_fill(g, p):
-    some = S.severity_f1(p.dx, g.patient_dx, neutral=g.documented).where((F.col("patient_id") + F.col("m")) % 7 > 0)
+    some = S.severity_f1(p.dx, g.patient_dx, neutral=g.documented, systems=p.systems).where((F.col("patient_id") + F.col("m")) % 7 > 0)
     return S.macro(S.complete(g.patient_dx, p.systems, some, key="patient_id"))
 
 
@@ -110,7 +118,7 @@ PANEL_SQL = " UNION ALL ".join(f"SELECT '{k}' AS task, m, avg(value) AS value FR
 
 
 def panel(g, p):
-    frames = {"dx": S.severity_f1(p.dx, g.patient_dx, neutral=g.documented), "summary": findings(g, p), "specialty": specs(g, p), "retrieval": S.precision_at(p.ranked, g.section_grade), "imaging": images(g, p)}
+    frames = {"dx": S.severity_f1(p.dx, g.patient_dx, neutral=g.documented, systems=p.systems), "summary": findings(g, p), "specialty": specs(g, p), "retrieval": S.precision_at(p.ranked, g.section_grade, systems=p.systems), "imaging": images(g, p)}
     out = None
     for k, f in frames.items():
         f = f.groupBy("m").agg(F.avg("value").alias("value")).withColumn("task", F.lit(k))
@@ -129,12 +137,17 @@ q("q_task_spread", lambda g, p: panel(g, p).groupBy("task").agg(F.round(F.min("v
 def human(g, p):
     """Seven simulated raters on a fixed subset of thirteen patients, and the systems on the same subset."""
     subset = F.broadcast(g.patient_dx.select("patient_id").distinct().orderBy((F.col("patient_id") * 7919) % 10007, "patient_id").limit(13))
-    scores = S.severity_f1(p.dx, g.patient_dx, neutral=g.documented).join(subset, "patient_id", "left_semi")
-    per = scores.groupBy("m").agg(F.avg("value").alias("v")).withColumn("who", F.when(F.col("m") <= 7, "raters").otherwise("systems"))
+    gold = g.patient_dx.join(subset, "patient_id", "left_semi")
+    raters = F.broadcast(g.t.spark.createDataFrame([(100 + r, 6 + 11 * r, 0) for r in range(7)], "m int, drops int, noise int"))
+    theirs = S.severity_f1(gold.crossJoin(raters).where(p.kept("dx_id", "patient_id")), gold, neutral=g.documented, systems=raters)
+    ours = S.severity_f1(p.dx.join(subset, "patient_id", "left_semi"), gold, neutral=g.documented, systems=p.systems)
+    per = theirs.unionByName(ours).groupBy("m").agg(F.avg("value").alias("v")).withColumn("who", F.when(F.col("m") >= 100, "raters").otherwise("systems"))
     return per.groupBy("who").agg(F.round(F.avg("v"), 6).alias("mean"), F.round(F.min("v"), 6).alias("low"), F.round(F.max("v"), 6).alias("high"))
 
 
-q("q_human_ref", human, f"SELECT who, round(avg(v), 6) AS mean, round(min(v), 6) AS low, round(max(v), 6) AS high FROM (SELECT m, CASE WHEN m <= 7 THEN 'raters' ELSE 'systems' END AS who, avg(value) AS v FROM ({NEUTRAL}) WHERE patient_id IN (SELECT patient_id FROM (SELECT DISTINCT patient_id FROM patient_dx) ORDER BY (patient_id*7919) % 10007, patient_id LIMIT 13) GROUP BY 1) GROUP BY who")
+SUBSET = "(SELECT patient_id FROM (SELECT DISTINCT patient_id FROM patient_dx) ORDER BY (patient_id*7919) % 10007, patient_id LIMIT {})"
+RATERS = f"SELECT m, patient_id, 2.0 * coalesce(hit, 0) / (coalesce(hit, 0) + gold) AS value FROM (SELECT patient_id, sum(weight) AS gold FROM patient_dx WHERE patient_id IN {SUBSET.format(13)} GROUP BY 1) CROSS JOIN (SELECT 100 + r AS m, 6 + 11*r AS drops FROM range(7) AS x(r)) LEFT JOIN (SELECT 100 + r AS m, patient_id, sum(weight) AS hit FROM patient_dx, range(7) AS x(r) WHERE (dx_id*31 + patient_id*17 + (100 + r)*13) % 100 >= 6 + 11*r GROUP BY 1, 2) USING (m, patient_id)"
+q("q_human_ref", human, f"SELECT who, round(avg(v), 6) AS mean, round(min(v), 6) AS low, round(max(v), 6) AS high FROM (SELECT m, CASE WHEN m >= 100 THEN 'raters' ELSE 'systems' END AS who, avg(value) AS v FROM (SELECT m, patient_id, value FROM ({NEUTRAL}) WHERE patient_id IN {SUBSET.format(13)} UNION ALL {RATERS}) GROUP BY 1) GROUP BY who")
 
 STRATEGIES = ("chain", "few_shot", "ontology", "zero_shot")
 
@@ -151,32 +164,93 @@ q("q_strategy_ablation", lambda g, p: pilots(g, p).groupBy("task", "strategy").a
 q("q_strategy_lock", lambda g, p: S.lock_strategy(pilots(g, p)), f"SELECT task, strategy, score FROM (SELECT *, row_number() OVER (PARTITION BY task ORDER BY score DESC, strategy) AS r FROM ({ABL})) WHERE r = 1")
 
 
+#: Conditions: name, number, and what they add to the share that is dropped; tasks with their number. [D]
+CONDITIONS = [("llm_full", 0, 0), ("agent_full", 1, 6), ("agent_self", 2, -14)]
+AGENT_TASKS = {"diagnosis": 1, "summarization": 2, "retrieval": 3, "imaging": 4}
+
+
+def sessions(g, p, who):
+    """(task, m, condition, patient_id, failed, tokens) of every session: agent sessions now and then end without an answer that can be read."""
+    tasks = g.t.spark.createDataFrame(list(AGENT_TASKS.items()), "task string, tk int")
+    cond = g.t.spark.createDataFrame(CONDITIONS, "condition string, c int, more int")
+    rows = who.crossJoin(p.systems.where("m IN (2, 8, 9)")).crossJoin(F.broadcast(tasks)).crossJoin(F.broadcast(cond))
+    failed = (F.col("c") > 0) & ((F.col("patient_id") * 7 + F.col("m") * 11 + F.col("c") * 5 + F.col("tk") * 3) % 17 < F.col("m") / 3)
+    tokens = 40000 + (F.col("patient_id") * 7919 + F.col("m") * 31) % 40001 + F.when(failed, 85000).otherwise(0)
+    return rows.select("task", "tk", "m", "condition", "c", "more", "drops", "patient_id", failed.alias("failed"), tokens.alias("tokens"))
+
+
 def agents(g, p):
-    """Three systems under three conditions, on the first hundred patients by hash; the condition moves the share that is dropped. [D]"""
-    first = F.broadcast(g.patient_dx.select("patient_id").distinct().orderBy((F.col("patient_id") * 7919) % 10007, "patient_id").limit(100))
-    gold = g.patient_dx.join(first, "patient_id", "left_semi")
-    cond = g.t.spark.createDataFrame([("llm_full", 0), ("agent_full", 6), ("agent_self", -14)], "condition string, more int")
-    pred = gold.crossJoin(p.systems.where("m IN (2, 8, 9)")).crossJoin(F.broadcast(cond)).where((F.col("dx_id") * 31 + F.col("patient_id") * 17 + F.col("m") * 13) % 100 >= F.col("drops") + F.col("more"))
-    pred = pred.withColumn("mc", F.concat_ws("/", "m", "condition"))
-    s = S.severity_f1(pred, gold, by="mc")
-    return s.select(F.split("mc", "/")[0].cast("int").alias("m"), F.split("mc", "/")[1].alias("condition"), "patient_id", "value")
-
-
-AG = "SELECT m, condition, patient_id, 2.0 * coalesce(hit, 0) / (coalesce(hit, 0) + gold) AS value FROM (SELECT patient_id, sum(weight) AS gold FROM patient_dx WHERE patient_id IN (SELECT patient_id FROM (SELECT DISTINCT patient_id FROM patient_dx) ORDER BY (patient_id*7919) % 10007, patient_id LIMIT 100) GROUP BY 1) CROSS JOIN (SELECT m, drops FROM systems WHERE m IN (2, 8, 9)) CROSS JOIN (VALUES ('llm_full', 0), ('agent_full', 6), ('agent_self', -14)) AS c(condition, more) LEFT JOIN (SELECT m, condition, patient_id, sum(weight) AS hit FROM patient_dx, systems, (VALUES ('llm_full', 0), ('agent_full', 6), ('agent_self', -14)) AS c(condition, more) WHERE (dx_id*31 + patient_id*17 + m*13) % 100 >= drops + more GROUP BY ALL) USING (m, condition, patient_id)"
-PIV = f"SELECT m, round(l, 6) AS llm_full, round(a, 6) AS agent_full, round(s, 6) AS agent_self, round(a - l, 6) AS loop_effect, round(s - a, 6) AS retrieval_effect FROM (SELECT m, avg(CASE WHEN condition = 'llm_full' THEN value END) AS l, avg(CASE WHEN condition = 'agent_full' THEN value END) AS a, avg(CASE WHEN condition = 'agent_self' THEN value END) AS s FROM ({AG}) GROUP BY m)"
-q("q_agent_panel", lambda g, p: agents(g, p).groupBy("m", "condition").agg(F.round(F.avg("value"), 6).alias("score")), f"SELECT m, condition, round(avg(value), 6) AS score FROM ({AG}) GROUP BY 1, 2")
-q("q_agent_effects", lambda g, p: S.decompose(agents(g, p), keys=["m"]), PIV)
-q("q_agent_best", lambda g, p: S.decompose(agents(g, p), keys=["m"]).select("m", F.expr("CASE WHEN agent_self >= agent_full AND agent_self >= llm_full THEN 'agent_self' WHEN agent_full >= llm_full THEN 'agent_full' ELSE 'llm_full' END").alias("best")), f"SELECT m, CASE WHEN agent_self >= agent_full AND agent_self >= llm_full THEN 'agent_self' WHEN agent_full >= llm_full THEN 'agent_full' ELSE 'llm_full' END AS best FROM ({PIV})")
+    """(task, m, condition, patient_id, value): three systems, three conditions and four tasks on the first hundred patients by hash; failed sessions score 0."""
+    who = F.broadcast(g.patient_dx.select("patient_id").distinct().orderBy((F.col("patient_id") * 7919) % 10007, "patient_id").limit(100))
+    ses = sessions(g, p, who)
+    mc = F.concat_ws("/", "task", "m", "condition")
+    kept = lambda item: (F.col(item) * 31 + F.col("patient_id") * 17 + F.col("m") * 13 + F.col("tk") * 7) % 100 >= F.col("drops") + F.col("more")
+    of = lambda task: ses.where(F.col("task") == task).withColumn("mc", mc)
+    ok = lambda task: of(task).where("NOT failed")
+    img = g.imaging_gold.join(g.cases.select(F.col("case_id").alias("instance_id"), F.col("subject_id").alias("patient_id")), "instance_id").join(who, "patient_id", "left_semi").select("patient_id", (F.col("instance_id") * 2000000 + F.col("concept") % 2000000).alias("item"), F.lit(1.0).alias("weight")).distinct()
+    gold = {"diagnosis": g.patient_dx.join(who, "patient_id", "left_semi").select("patient_id", F.col("dx_id").alias("item"), "weight"), "summarization": g.key_finding.join(who, "patient_id", "left_semi").select("patient_id", F.col("finding_id").alias("item"), F.lit(1.0).alias("weight")), "imaging": img}
+    out = None
+    for task, items in gold.items():
+        every = of(task).select("mc").distinct()
+        pred = items.join(ok(task), "patient_id").where(kept("item")).select("mc", "patient_id", "item")
+        v = S.severity_f1(pred, items, item="item", by="mc", systems=every)
+        out = v if out is None else out.unionByName(v)
+    grades = g.section_grade.join(who, "patient_id", "left_semi")
+    rows = grades.join(ok("retrieval"), "patient_id")
+    est = F.when(kept("section_id"), F.col("grade")).otherwise((F.col("section_id") + F.col("m")) % 4)
+    order = Window.partitionBy("mc", "patient_id").orderBy(F.desc(est), "section_id")
+    ranked = rows.select("mc", "patient_id", "section_id", F.row_number().over(order).alias("rank"))
+    out = out.unionByName(S.precision_at(ranked, grades, by="mc", systems=of("retrieval").select("mc").distinct()))
+    part = F.split("mc", "/")
+    return out.select(part[0].alias("task"), part[1].cast("int").alias("m"), part[2].alias("condition"), "patient_id", "value")
+
+
+WHO = SUBSET.format(100)
+SES = f"""(SELECT task, tk, m, condition, c, more, drops, patient_id, c > 0 AND (patient_id*7 + m*11 + c*5 + tk*3) % 17 < m / 3 AS failed, 40000 + (patient_id*7919 + m*31) % 40001 + CASE WHEN c > 0 AND (patient_id*7 + m*11 + c*5 + tk*3) % 17 < m / 3 THEN 85000 ELSE 0 END AS tokens FROM {WHO}, (SELECT * FROM systems WHERE m IN (2, 8, 9)), (VALUES ('diagnosis', 1), ('summarization', 2), ('retrieval', 3), ('imaging', 4)) AS k(task, tk), (VALUES ('llm_full', 0, 0), ('agent_full', 1, 6), ('agent_self', 2, -14)) AS x(condition, c, more))"""
+ITEMS = f"""(SELECT 'diagnosis' AS task, patient_id, dx_id AS item, weight::DOUBLE AS weight FROM patient_dx WHERE patient_id IN {WHO} UNION ALL SELECT 'summarization', patient_id, finding_id, 1.0 FROM key_finding WHERE patient_id IN {WHO} UNION ALL SELECT DISTINCT 'imaging', subject_id, instance_id*2000000 + concept % 2000000, 1.0 FROM imaging_gold JOIN src_case ON instance_id = case_id WHERE subject_id IN {WHO})"""
+DROP = "(item*31 + patient_id*17 + m*13 + tk*7) % 100 >= drops + more"
+AG = f"""SELECT task, m, condition, patient_id, 2.0 * coalesce(hit, 0) / (coalesce(hit, 0) + gold) AS value FROM (SELECT task, patient_id, sum(weight) AS gold FROM {ITEMS} GROUP BY 1, 2) JOIN {SES} USING (task, patient_id) LEFT JOIN (SELECT task, m, condition, patient_id, sum(weight) AS hit FROM {ITEMS} JOIN {SES} USING (task, patient_id) WHERE NOT failed AND {DROP} GROUP BY ALL) USING (task, m, condition, patient_id)
+UNION ALL SELECT 'retrieval', m, condition, patient_id, coalesce(value, 0) FROM (SELECT DISTINCT patient_id FROM section_grade) JOIN (SELECT * FROM {SES} WHERE task = 'retrieval') USING (patient_id) LEFT JOIN (SELECT m, condition, patient_id, sum(CASE WHEN grade >= 2 THEN 1 ELSE 0 END) / 5 AS value FROM (SELECT m, condition, patient_id, grade, row_number() OVER (PARTITION BY m, condition, patient_id ORDER BY CASE WHEN (section_id*31 + patient_id*17 + m*13 + tk*7) % 100 >= drops + more THEN grade ELSE (section_id + m) % 4 END DESC, section_id) AS r FROM section_grade JOIN {SES} USING (patient_id) WHERE task = 'retrieval' AND NOT failed) WHERE r <= 5 GROUP BY ALL) USING (m, condition, patient_id)"""
+PIV = f"SELECT task, m, round(l, 6) AS llm_full, round(a, 6) AS agent_full, round(s, 6) AS agent_self, round(a - l, 6) AS loop_effect, round(s - a, 6) AS retrieval_effect FROM (SELECT task, m, avg(CASE WHEN condition = 'llm_full' THEN value END) AS l, avg(CASE WHEN condition = 'agent_full' THEN value END) AS a, avg(CASE WHEN condition = 'agent_self' THEN value END) AS s FROM ({AG}) GROUP BY 1, 2)"
+q("q_agent_panel", lambda g, p: agents(g, p).groupBy("task", "m", "condition").agg(F.round(F.avg("value"), 6).alias("score"), F.count("*").alias("n")), f"SELECT task, m, condition, round(avg(value), 6) AS score, count(*) AS n FROM ({AG}) GROUP BY 1, 2, 3")
+q("q_agent_effects", lambda g, p: S.decompose(agents(g, p), keys=["task", "m"]), PIV)
+q("q_agent_best", lambda g, p: S.decompose(agents(g, p), keys=["task", "m"]).select("task", "m", F.expr("CASE WHEN agent_self >= agent_full AND agent_self >= llm_full THEN 'agent_self' WHEN agent_full >= llm_full THEN 'agent_full' ELSE 'llm_full' END").alias("best")), f"SELECT task, m, CASE WHEN agent_self >= agent_full AND agent_self >= llm_full THEN 'agent_self' WHEN agent_full >= llm_full THEN 'agent_full' ELSE 'llm_full' END AS best FROM ({PIV})")
+who_all = lambda g: F.broadcast(g.patient_dx.select("patient_id").distinct().orderBy((F.col("patient_id") * 7919) % 10007, "patient_id").limit(100))
+q("q_agent_tokens", lambda g, p: sessions(g, p, who_all(g)).where("c > 0").groupBy("failed").agg(F.count("*").alias("sessions"), F.round(F.avg("tokens"), 4).alias("tokens")), f"SELECT failed, count(*) AS sessions, round(avg(tokens), 4) AS tokens FROM {SES} WHERE c > 0 GROUP BY 1")
+
+
+def effect_intervals(g, p):
+    """95 % intervals of both effects by a paired bootstrap over patients."""
+    wide = agents(g, p).groupBy("task", "m", "patient_id").pivot("condition", ["llm_full", "agent_full", "agent_self"]).agg(F.first("value"))
+    both = F.array(F.struct(F.lit("loop").alias("effect"), (F.col("agent_full") - F.col("llm_full")).alias("diff")), F.struct(F.lit("retrieval").alias("effect"), (F.col("agent_self") - F.col("agent_full")).alias("diff")))
+    return S.paired_bootstrap(wide.select("task", "m", "patient_id", F.inline(both)), keys=["task", "m", "effect"], unit="patient_id")
+
+
+WIDE = f"(SELECT task, m, patient_id, max(value) FILTER (WHERE condition = 'llm_full') AS l, max(value) FILTER (WHERE condition = 'agent_full') AS a, max(value) FILTER (WHERE condition = 'agent_self') AS s FROM ({AG}) GROUP BY 1, 2, 3)"
+DIFF = f"(SELECT task, m, 'loop' AS effect, patient_id, a - l AS diff FROM {WIDE} UNION ALL SELECT task, m, 'retrieval', patient_id, s - a FROM {WIDE})"
+q("q_agent_intervals", effect_intervals, f"SELECT task, m, effect, round(mean, 6) AS mean, round(quantile_cont(bm, 0.025), 6) AS low, round(quantile_cont(bm, 0.975), 6) AS high FROM (SELECT task, m, effect, b, sum(w * diff) / sum(w) AS bm FROM (SELECT *, CASE WHEN h < 3681 THEN 0 WHEN h < 7363 THEN 1 WHEN h < 9204 THEN 2 ELSE 3 END AS w FROM (SELECT *, (patient_id*7919 + b*104729 + (patient_id % 97)*b*31) % 10007 AS h FROM {DIFF}, range(1, 201) AS x(b))) GROUP BY 1, 2, 3, 4) JOIN (SELECT task, m, effect, avg(diff) AS mean FROM {DIFF} GROUP BY 1, 2, 3) USING (task, m, effect) GROUP BY task, m, effect, mean")
 
 # Published tables as literals.
-q("q_published_mean_rank", lambda g, p: S.mean_rank(fixtures.panel_scores(g.t.spark)), None)
-q("q_published_agent_effects", lambda g, p: S.decompose(fixtures.agent_scores(g.t.spark), keys=["task", "m"]), None)
-q("q_coverage", lambda g, p: fixtures.capabilities(g.t.spark).unpivot("row", list(fixtures.CAPABILITY_NAMES), "capability", "level").groupBy("capability").pivot("level", [0, 1, 2]).count().fillna(0).select("capability", F.col("0").alias("absent"), F.col("1").alias("partial"), F.col("2").alias("full")), None)
+label("q_published_mean_rank", lambda g, p: S.mean_rank(fixtures.panel_scores(g.t.spark)), None)
+label("q_published_agent_effects", lambda g, p: S.decompose(fixtures.agent_scores(g.t.spark), keys=["task", "m"]), None)
+label("q_coverage", lambda g, p: fixtures.capabilities(g.t.spark).unpivot("row", list(fixtures.CAPABILITY_NAMES), "capability", "level").groupBy("capability").pivot("level", [0, 1, 2]).count().fillna(0).select("capability", F.col("0").alias("absent"), F.col("1").alias("partial"), F.col("2").alias("full")), None)
+
+
+q("q_heldout_scores", lambda g, p: construct.scorer(g.t), MACRO.format(NEUTRAL), "heldout")
+ROLL = " UNION ALL ".join(f"SELECT '{k}' AS task, m AS rollout, count(*) AS n, round(avg(value), 6) AS reward, count(*) FILTER (WHERE value < 0 OR value > 1) AS outside FROM ({v}) WHERE m <= 4 GROUP BY m" for k, v in (("diagnosis", NEUTRAL), ("summarization", FIND), ("specialty", SPEC), ("retrieval", P5), ("imaging", IMG)))
+q("q_rollouts", lambda g, p: construct.rollouts(g.t), ROLL, "training")
+
+
+def reward_range(g, p):
+    """Rewards outside [0, 1] by task, over all systems."""
+    frames = {"dx": S.severity_f1(p.dx, g.patient_dx, neutral=g.documented, systems=p.systems), "summary": findings(g, p), "specialty": specs(g, p), "retrieval": S.precision_at(p.ranked, g.section_grade, systems=p.systems), "imaging": images(g, p)}
+    out = None
+    for k, f in frames.items():
+        f = f.agg(F.count("*").alias("n"), F.count_if((F.col("value") < 0) | (F.col("value") > 1)).alias("outside")).withColumn("task", F.lit(k))
+        out = f if out is None else out.unionByName(f)
+    return out
 
 
-def reward_range(spark, sf_dir):
-    """Rewards outside [0, 1] over all tasks and systems: none."""
-    g = Labels(Tables(spark, sf_dir))
-    p = Panel(g)
-    every = S.severity_f1(p.dx, g.patient_dx, neutral=g.documented).select("value").unionByName(findings(g, p).select("value")).unionByName(specs(g, p).select("value")).unionByName(images(g, p).select("value")).unionByName(S.precision_at(p.ranked, g.section_grade).select("value"))
-    return every.agg(F.sum(((F.col("value") < 0) | (F.col("value") > 1)).cast("long")).alias("outside"))
+q("q_reward_range", reward_range, " UNION ALL ".join(f"SELECT '{k}' AS task, count(*) AS n, count(*) FILTER (WHERE value < 0 OR value > 1) AS outside FROM ({v})" for k, v in TASKS.items()))
+for key, split, cols in (("q_public_view", "public", "*"), ("q_sealed_view", "heldout", "* EXCLUDE (n_gold)")):
+    register(key, lambda spark, sf, s=split, c=cols: construct.instances(Tables(spark, sf), s).drop(*(["n_gold"] if s == "heldout" else [])), sql(f"SELECT {cols} FROM ({construct.INST})", split))
