@@ -27,8 +27,9 @@ from . import kernels as K
 BITS, FACTORS, STEM = 20, 8, 5
 #: At most so many labelled documents teach; those with the smallest hashes of their ids.
 SAMPLE = 16384
-#: Terms kept are those in at least MIN_DOCS of them, the most telling ones first.
-MIN_DOCS, TERMS = 4, 1500
+#: Terms kept are those in at least MIN_DOCS of them: the most telling ones, and those that tell most among documents
+#: with one of the LEADS first of these (by SURE standard errors), as a mention does that is neutral by itself.
+MIN_DOCS, TERMS, BESIDE, LEADS, SURE = 4, 1500, 500, 64, 5.0
 EPOCHS, BATCH, RATE, DECAY, POSITIVE = 16, 128, 0.15, 1e-6, 3.0
 #: A toxic document counts as POSITIVE others while learning, as there are fewer.
 #: Share of a document's terms left out each time it is learned from.
@@ -78,6 +79,12 @@ def sigmoid(x: np.ndarray) -> np.ndarray:
     return 1 / (1 + np.exp(-np.clip(x, -30, 30)))
 
 
+def telling(in_pos: np.ndarray, in_neg: np.ndarray, pos: int, neg: int) -> np.ndarray:
+    """How much each bucket tells between documents of both labels, from the numbers of documents that have it."""
+    a, b = (in_pos + 0.5) / (pos + 1), (in_neg + 0.5) / (neg + 1)
+    return np.abs(a - b) * np.abs(np.log(a / b)) * (in_pos + in_neg >= MIN_DOCS)
+
+
 def fit(sets: list[np.ndarray], labels: np.ndarray, seed: int = 5) -> Machine:
     """Trains on documents given as arrays of distinct buckets, with labels 0 and 1."""
     rng = np.random.default_rng(seed)
@@ -86,9 +93,25 @@ def fit(sets: list[np.ndarray], labels: np.ndarray, seed: int = 5) -> Machine:
     lengths = np.array([len(x) for x in sets], np.int64)
     in_pos = np.bincount(flat[np.repeat(labels == 1, lengths)], minlength=size).astype(float)
     in_neg = np.bincount(flat, minlength=size) - in_pos
-    a, b = (in_pos + 0.5) / (pos + 1), (in_neg + 0.5) / (n - pos + 1)
-    told = np.abs(a - b) * np.abs(np.log(a / b)) * (in_pos + in_neg >= MIN_DOCS)
-    kept = np.sort(np.argsort(-told, kind="stable")[: min(TERMS, int((told > 0).sum()))])
+    owner = np.repeat(np.arange(n), lengths)
+    told = telling(in_pos, in_neg, pos, n - pos)
+    best = np.argsort(-told, kind="stable")[: min(TERMS, int((told > 0).sum()))]
+    # The same among the documents that have one of the terms that speak most for label 1.
+    leads = np.zeros(size, bool)
+    leads[[t for t in best.tolist() if in_pos[t] * (n - pos) > in_neg[t] * pos][:LEADS]] = True
+    with_lead = np.zeros(n, bool)
+    with_lead[owner[leads[flat]]] = True
+    own = with_lead[owner]
+    pos_in = np.bincount(flat[own & (labels == 1)[owner]], minlength=size).astype(float)
+    neg_in = np.bincount(flat[own], minlength=size) - pos_in
+    n_pos, n_neg = int((with_lead & (labels == 1)).sum()), int((with_lead & (labels != 1)).sum())
+    share = (pos_in + neg_in) / max(n_pos + n_neg, 1)
+    spread = np.sqrt(share * (1 - share) * (1 / max(n_pos, 1) + 1 / max(n_neg, 1)))
+    sure = np.abs(pos_in / max(n_pos, 1) - neg_in / max(n_neg, 1)) > SURE * spread
+    beside = telling(pos_in, neg_in, n_pos, n_neg) * sure
+    beside[best] = 0
+    more = np.argsort(-beside, kind="stable")[: min(BESIDE, int((beside > 0).sum()))]
+    kept = np.sort(np.concatenate([best, more]))
     slot = np.full(size, len(kept), np.int64)
     slot[kept] = np.arange(len(kept))
     rows = slot[flat]
