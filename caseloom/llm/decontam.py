@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 from . import kernels as K
 
 WINDOW, STRIDE, PASSAGE, PASSAGE_STRIDE = 40, 14, 40, 20
-RANK, SLOTS, BLOCK = 256, 1 << 15, 8192
+RANK, SLOTS, BLOCK = 256, 1 << 15, 32768
 COSINE, LCS, ANSWER, LAST = 0.3, 0.6, 0.5, 8
 #: Words in a row that make a candidate; share of the common subsequence, and words in a row, that need no answer check.
 GRAM, STRONG, RUN = 4, 0.8, 20
@@ -296,17 +296,25 @@ def find(s: K.Slice, items: Items) -> list[tuple[int, int, float, float, float]]
     return [(d, i, *v) for (d, i), v in found.items()]
 
 
+def passages_of(text: str | None) -> int:
+    """At most how many passages a text is cut into (words are parted by other bytes than letters and digits)."""
+    n = -(-len((text or "").encode()) // 2)
+    return 1 + max(0, -(-(n - PASSAGE) // PASSAGE_STRIDE))
+
+
 def blocks(docs: DataFrame, benchmark: DataFrame) -> Iterator[Items]:
-    """Blocks of items, in order; the driver holds one at a time."""
-    ids, texts = [], []
+    """Blocks of items of at most ``BLOCK`` passages (a longer item is a block of its own), in order; the driver holds one at a time."""
+    ids, texts, size = [], [], 0
     rows = benchmark.select(F.col("item_id").cast("long").alias("item_id"), F.col("text").cast("string").alias("text")).orderBy("item_id", "text")
     for r in rows.toLocalIterator():
-        ids.append(r["item_id"])
-        texts.append(r["text"])
-        if len(ids) == BLOCK:
+        more = passages_of(r["text"])
+        if ids and size + more > BLOCK:
             if items := prepare(docs, ids, texts):
                 yield items
-            ids, texts = [], []
+            ids, texts, size = [], [], 0
+        ids.append(r["item_id"])
+        texts.append(r["text"])
+        size += more
     if ids and (items := prepare(docs, ids, texts)):
         yield items
 
