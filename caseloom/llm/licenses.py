@@ -160,7 +160,7 @@ def rules() -> tuple[Rule, ...]:
 
 
 #: Something of this stands in any folded text in which a rule or a base phrase can match.
-_GATE = re.compile(rb"licen[sc]|spdx|(?<![a-z0-9])cc[^a-z0-9]{1,3}by(?![a-z])|cc0|wtfpl|creative[^a-z0-9]+commons|permission[^a-z0-9]+(?:is|to)|redistributions?[^a-z0-9]+and|bsd|rights[^a-z0-9]+reserved|confidential[^a-z0-9]+and|mit[^a-z0-9]+no|public[^a-z0-9]+domain|mulan|this[^a-z0-9]+(?:program|library|file|software|is)[^a-z0-9]+(?:is|provided|free)|neither[^a-z0-9]+the[^a-z0-9]+name")
+_GATE = re.compile(rb"licen[sc]|spdx|(?<![a-z0-9])cc[^a-z0-9]+by(?![a-z])|cc0|wtfpl|creative[^a-z0-9]+commons|permission[^a-z0-9]+(?:is|to)|redistributions?[^a-z0-9]+and|bsd|rights[^a-z0-9]+reserved|confidential[^a-z0-9]+and|mit[^a-z0-9]+no|public[^a-z0-9]+domain|mulan|this[^a-z0-9]+(?:program|library|file|software|is)[^a-z0-9]+(?:is|provided|free)|neither[^a-z0-9]+the[^a-z0-9]+name")
 
 
 def detect(text: bytes) -> tuple[list[tuple[int, int, str, int, float]], list[tuple[int, str]]]:

@@ -243,6 +243,49 @@ def test_licenses(spark):
     assert 200 <= len(licenses.rules()) and licenses.scan(frame(spark, [])).count() == 0
 
 
+def test_license_gate_and_suppression(spark):
+    """The gate never loses what the rules find, and what stands is what brute force leaves of all matches."""
+    seps = [" ", "    ", "-", "\n\t ", " . "]
+    names = [n for line in licenses.FAMILIES for part in line.split(" | ")[2:] for n in part.split(";")] + [p for _, _, p in licenses.NOTICES]
+    plain = [re.sub(r"\(\?![^)]*\)|[\[\]^$]", "", re.sub(r"\(\?:([^()|]*)(?:\|[^()]*)?\)\??", r"\1", n)) for n in names]
+    rows = []
+    for i, n in enumerate(plain):
+        for k, sep in enumerate(seps):
+            rows.append((len(rows), f"x {('licensed under ' if (i + k) % 3 == 0 else '')}{n.strip()} licence".replace(" ", sep).upper() if k % 2 else f"SPDX-License-Identifier: {n.strip()}".replace(" ", sep)))
+    got = {r["doc_id"]: r for r in licenses.scan(frame(spark, rows)).collect()}
+    for i, t in rows:
+        joined = b" ".join(re.findall(rb"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+", t.encode().lower()))
+        every = []
+        for r in licenses.rules():
+            for m in r.pattern.finditer(joined):
+                if r.keyword in joined:
+                    a = joined[: m.start()].count(b" ")
+                    every.append((r.priority, a, a + m.group().count(b" ") + 1, r.label))
+        # Suppressed: inside one of higher priority, or inside a longer or equal one of the same that comes first.
+        every.sort(key=lambda x: (x[0], x[1] - x[2], x[1], x[3]))
+        stand = []
+        for x in every:
+            if not any(y[1] <= x[1] and x[2] <= y[2] for y in stand):
+                stand.append(x)
+        base = {lab for p, lab in (("mit license", "mit"), ("apache license", "apache"), ("general public license", "gpl")) if f" {p} " in f" {joined.decode()} "}
+        assert got[i]["labels"] == ",".join(sorted({x[3] for x in stand} | base)), t
+    assert sum(1 for r in got.values() if r["labels"]) > 100
+
+
+def test_toxic_pairs():
+    """A word that is neutral by itself and toxic beside an insult is kept, and its pair tells."""
+    rng = np.random.default_rng(3)
+    sets, labels = [], []
+    for i in range(1200):
+        insult, group = i % 2, i // 2 % 2
+        noise = rng.integers(100, 400, 12)
+        sets.append(np.unique(np.concatenate([noise, [7] * insult, [9] * group]).astype(np.uint32)))
+        labels.append(float(insult and group))
+    m = toxicity.fit(sets, np.array(labels))
+    score = lambda *t: float(toxicity.sigmoid(m.raw(m.slot[list(t)], np.zeros(len(t), np.int64), 1))[0])
+    assert score(7, 9) > 0.7 > 0.5 > max(score(7), score(9))
+
+
 def test_secrets(spark):
     r = random.Random(3)
     token = "".join(r.choices("abcdefghijklmnopqrstuvwxyzABCDEFGHIJKLMNOPQRSTUVWXYZ0123456789", k=44))
