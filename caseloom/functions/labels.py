@@ -28,19 +28,31 @@ class Labels:
         own = splits.assign(self.t).where(F.col("split") == self.split).select(F.col("patient_id").alias("subject_id"))
         return durable(self.t.src_case.join(own, "subject_id", "left_semi"))  # every label starts here
 
+    @cached_property
+    def own(self) -> Tables:
+        return self.t if self.split is None else self.t.narrowed(self.cases)
+
+    @cached_property
+    def case_dx(self) -> DataFrame:
+        return self.own.case_dx if self.split is None else durable(self.own.case_dx)
+
+    @cached_property
+    def case_finding(self) -> DataFrame:
+        return self.own.case_finding if self.split is None else durable(self.own.case_finding)
+
     @cached_property
     def patient_dx(self) -> DataFrame:
         """Primary diagnoses of a patient's encounters with their greatest severity weight."""
-        rows = self.cases.join(self.t.case_dx.where("role = 'primary'"), "case_id")
+        rows = self.cases.join(self.case_dx.where("role = 'primary'"), "case_id")
         return rows.groupBy(F.col("subject_id").alias("patient_id"), "dx_id").agg(F.max(severity()).alias("weight"), F.min("acuity").alias("acuity"))
 
     @cached_property
     def documented(self) -> DataFrame:
-        return self.cases.join(self.t.case_dx, "case_id").select(F.col("subject_id").alias("patient_id"), "dx_id").distinct()
+        return self.cases.join(self.case_dx, "case_id").select(F.col("subject_id").alias("patient_id"), "dx_id").distinct()
 
     @cached_property
     def chart_finding(self) -> DataFrame:
-        rows = self.cases.join(self.t.case_finding, "case_id")
+        rows = self.cases.join(self.case_finding, "case_id")
         return rows.groupBy(F.col("subject_id").alias("patient_id"), "finding_id").agg(F.max("relevance").alias("relevance"))
 
     @cached_property
@@ -57,7 +69,7 @@ class Labels:
     def section_grade(self) -> DataFrame:
         """Grade 0-3 of every chart section for its patient's query diagnosis. [D]"""
         t = self.t
-        rows = self.query_dx.join(self.cases.select("case_id", F.col("subject_id").alias("patient_id")), "patient_id").join(t.case_finding, "case_id").join(t.finding_node.select("finding_id", "kind"), "finding_id")
+        rows = self.query_dx.join(self.cases.select("case_id", F.col("subject_id").alias("patient_id")), "patient_id").join(self.case_finding, "case_id").join(t.finding_node.select("finding_id", "kind"), "finding_id")
         rows = rows.join(t.dx_finding.select("dx_id", "finding_id", F.col("grade").alias("edge")), ["dx_id", "finding_id"], "left")
         g = F.when(F.col("edge").isNull(), 0).when((F.col("relevance") == 3) & (F.col("edge") == 3), 3).when(F.col("relevance") >= 2, 2).otherwise(1)
         return rows.groupBy("patient_id", (F.col("case_id") * 10 + kind_ord("kind")).alias("section_id")).agg(F.max(g).alias("grade"))
@@ -66,16 +78,16 @@ class Labels:
     def imaging_gold(self) -> DataFrame:
         t = self.t
         own = self.cases.select("case_id")
-        img = t.case_finding.join(own, "case_id", "left_semi").join(t.finding_node.where("kind = 'imaging'").select("finding_id"), "finding_id").select(F.col("case_id").alias("instance_id"), F.col("finding_id").alias("concept"))
-        dx = t.case_dx.where("role = 'primary'").join(img.select(F.col("instance_id").alias("case_id")).distinct(), "case_id", "left_semi")
+        img = self.case_finding.join(own, "case_id", "left_semi").join(t.finding_node.where("kind = 'imaging'").select("finding_id"), "finding_id").select(F.col("case_id").alias("instance_id"), F.col("finding_id").alias("concept"))
+        dx = self.case_dx.where("role = 'primary'").join(img.select(F.col("instance_id").alias("case_id")).distinct(), "case_id", "left_semi")
         return img.unionByName(dx.select(F.col("case_id").alias("instance_id"), (F.lit(1000000000) + F.col("dx_id")).alias("concept"))).distinct()
 
     @cached_property
     def spec_gold(self) -> DataFrame:
         """Findings of a patient that a specialty's (non-differential) diagnoses own, or a diagnosis of the patient that is linked to one of them."""
         t = self.t
-        dx = self.cases.select("case_id", F.col("subject_id").alias("patient_id")).join(t.case_dx.where("role <> 'differential'").select("case_id", "dx_id"), "case_id")
-        owned = dx.join(t.case_finding.select("case_id", "finding_id"), "case_id").join(t.dx_finding.select("dx_id", "finding_id"), ["dx_id", "finding_id"]).select("patient_id", "dx_id", "finding_id").distinct()
+        dx = self.cases.select("case_id", F.col("subject_id").alias("patient_id")).join(self.case_dx.where("role <> 'differential'").select("case_id", "dx_id"), "case_id")
+        owned = dx.join(self.case_finding.select("case_id", "finding_id"), "case_id").join(t.dx_finding.select("dx_id", "finding_id"), ["dx_id", "finding_id"]).select("patient_id", "dx_id", "finding_id").distinct()
         node = t.dx_node.select(F.col("dx_id").alias("head"), F.col("category").alias("specialty"))
         pairs = links.every(t).select("a", "b")
         hops = pairs.unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).select(F.col("a").alias("head"), F.col("b").alias("dx_id"))
@@ -83,7 +95,8 @@ class Labels:
         # A patient's own pairs of diagnoses that are linked; each patient has few diagnoses.
         near = mine.join(mine.select("patient_id", F.col("dx_id").alias("head")), "patient_id").join(hops, ["head", "dx_id"], "left_semi")
         of = mine.withColumn("head", F.col("dx_id")).unionByName(near).join(F.broadcast(node), "head").select("patient_id", "dx_id", "specialty").distinct()
-        return of.join(owned, ["patient_id", "dx_id"]).select("patient_id", "specialty", "finding_id").distinct()
+        # Instances, gold and predictions all start from this.
+        return durable(of.join(owned, ["patient_id", "dx_id"]).select("patient_id", "specialty", "finding_id").distinct())
 
     @cached_property
     def absent_specialty(self) -> DataFrame:
@@ -143,7 +156,7 @@ class Panel:
     def imaging(self) -> DataFrame:
         g, t = self.l.imaging_gold, self.l.t
         kept = g.crossJoin(self.systems).where(self.kept("concept", "instance_id", 12)).select("m", "instance_id", "concept")
-        other = t.case_finding.join(t.finding_node.where("kind <> 'imaging'").select("finding_id"), "finding_id").select(F.col("case_id").alias("instance_id"), F.col("finding_id").alias("concept"))
+        other = self.l.case_finding.join(t.finding_node.where("kind <> 'imaging'").select("finding_id"), "finding_id").select(F.col("case_id").alias("instance_id"), F.col("finding_id").alias("concept"))
         other = other.join(g.select("instance_id").distinct(), "instance_id", "left_semi").crossJoin(self.systems).where(self.spurious("concept", "instance_id"))
         return kept.unionByName(other.select("m", "instance_id", "concept").distinct())
 

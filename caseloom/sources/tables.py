@@ -37,6 +37,14 @@ class Tables:
             return self.spark.read.parquet(f"{self.sf_dir}/{name}.parquet")
         raise AttributeError(name)
 
+    @property
+    def case_lines(self) -> DataFrame:
+        return self.lineitem
+
+    def narrowed(self, cases: DataFrame) -> "Tables":
+        """The same tables, with the views of cases over these cases only (the graph's views stay whole)."""
+        return _Narrowed(self.spark, self.sf_dir, cases)
+
     def views(self) -> "Tables":
         """Registers the given tables as temporary views for SQL."""
         for n in NAMES:
@@ -59,7 +67,7 @@ class Tables:
 
     @cached_property
     def case_dx(self) -> DataFrame:
-        pairs = self.lineitem.groupBy(F.col("l_orderkey").alias("case_id"), F.col("l_suppkey").alias("dx_id")).agg(F.max("l_extendedprice").alias("top"), F.max((F.col("l_linestatus") == "F").cast("int")).alias("final"))
+        pairs = self.case_lines.groupBy(F.col("l_orderkey").alias("case_id"), F.col("l_suppkey").alias("dx_id")).agg(F.max("l_extendedprice").alias("top"), F.max((F.col("l_linestatus") == "F").cast("int")).alias("final"))
         first = F.row_number().over(Window.partitionBy("case_id").orderBy(F.desc("top"), "dx_id"))
         return pairs.select("case_id", "dx_id", F.when(first == 1, "primary").when(F.col("final") == 1, "secondary").otherwise("differential").alias("role"))
 
@@ -69,7 +77,7 @@ class Tables:
 
     @cached_property
     def case_finding(self) -> DataFrame:
-        return self.lineitem.groupBy(F.col("l_orderkey").alias("case_id"), F.col("l_partkey").alias("finding_id")).agg(F.max(mapped("l_returnflag", RELEVANCE, 1)).alias("relevance"))
+        return self.case_lines.groupBy(F.col("l_orderkey").alias("case_id"), F.col("l_partkey").alias("finding_id")).agg(F.max(mapped("l_returnflag", RELEVANCE, 1)).alias("relevance"))
 
     @cached_property
     def dx_finding(self) -> DataFrame:
@@ -90,6 +98,16 @@ class Tables:
         return rows.select(F.col("l_orderkey").alias("case_id"), F.col("l_partkey").alias("finding_id"), surface.alias("surface"), F.col("p_name").alias("true_term"))
 
 
+class _Narrowed(Tables):
+    def __init__(self, spark: SparkSession, sf_dir: str, cases: DataFrame):
+        super().__init__(spark, sf_dir)
+        self._ids = cases.select(F.col("case_id").alias("l_orderkey"))
+
+    @property
+    def case_lines(self) -> DataFrame:
+        return self.lineitem.join(self._ids, "l_orderkey", "left_semi")
+
+
 def mapped_prefix(col: str):
     return mapped_expr(F.substring_index(F.col(col), " ", 1))
 
