@@ -22,6 +22,7 @@ import bisect
 import os
 import re
 import sys
+import threading
 import zlib
 from array import array
 from collections.abc import Iterator
@@ -38,6 +39,8 @@ CAPACITY = 2048
 SALTS = 128
 #: Chunks of text whose ids a worker keeps, in each of two tables.
 KEEP = 1 << 19
+#: Seconds after its last task in which a worker keeps known chunks; tasks of other stages get the memory then.
+IDLE_S = 3.0
 #: Documents whose new words are encoded together.
 GROUP = 64
 #: Whole-text encoding is needed where a chunk's surroundings could matter.
@@ -54,7 +57,8 @@ class Encoder:
     mark after them, and they read capitals as small letters.  So the ids of a text are those
     of its chunks in order, and a new chunk often is made of known parts.  Known chunks are kept
     in two tables of at most about ``keep`` each: when the young one is full it becomes the old
-    one, from which chunks that come again are taken over.
+    one, from which chunks that come again are taken over.  A worker process outlives its stage,
+    so the tables are emptied when no task has used them for ``IDLE_S`` seconds.
     """
 
     def __init__(self, path: str, keep: int = KEEP):
@@ -64,6 +68,7 @@ class Encoder:
         self.model, self.keep = Tokenizer.from_file(path), keep
         self.ids: dict[str, bytes] = {}
         self.old: dict[str, bytes] = {}
+        self.tasks, self.timer, self.lock = 0, None, threading.Lock()
         self.ends = np.array([(self.model.id_to_token(i) or "").endswith("</w>") for i in range(self.model.get_vocab_size())])
 
     def encode(self, text: str) -> bytes:
@@ -112,6 +117,25 @@ class Encoder:
         of = self.ids.__getitem__
         return [self.encode(t) if c is None else b"".join(map(of, c)) for t, c in zip(texts, chunks, strict=True)]
 
+    def __enter__(self) -> Encoder:
+        with self.lock:
+            self.tasks += 1
+            if self.timer:
+                self.timer.cancel()
+        return self
+
+    def __exit__(self, *_: object) -> None:
+        with self.lock:
+            self.tasks -= 1
+            self.timer = threading.Timer(IDLE_S, self.forget)
+            self.timer.daemon = True
+            self.timer.start()
+
+    def forget(self) -> None:
+        with self.lock:
+            if not self.tasks:
+                self.ids, self.old = {}, {}
+
 
 @cache
 def encoder(path: str) -> Encoder:
@@ -130,19 +154,19 @@ def pieces(docs: DataFrame, tokenizer: str, capacity: int = CAPACITY, end_id: in
     """One row per piece of each document: its place in the document, its length and the CRC of its ids."""
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        of = encoder(tokenizer)
         end = np.array([end_id], "<u4").tobytes()
-        for b in batches:
-            ids, rows = b.column(0).to_pylist(), []
-            for i in range(0, len(ids), GROUP):
-                for j, own in enumerate(of([t or "" for t in b.column(1).slice(i, GROUP).to_pylist()])):
-                    own += end
-                    for k, at in enumerate(range(0, len(own), 4 * capacity)):
-                        part = own[at : at + 4 * capacity]
-                        rows.append((ids[i + j], k, at // 4, len(part) // 4, zlib.crc32(part)))
-            if rows:
-                c = list(zip(*rows, strict=True))
-                yield pa.RecordBatch.from_arrays([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int32()), *(pa.array(x, pa.int64()) for x in c[2:])], names=["doc_id", "piece", "start", "length", "ids_crc32"])
+        with encoder(tokenizer) as of:
+            for b in batches:
+                ids, rows = b.column(0).to_pylist(), []
+                for i in range(0, len(ids), GROUP):
+                    for j, own in enumerate(of([t or "" for t in b.column(1).slice(i, GROUP).to_pylist()])):
+                        own += end
+                        for k, at in enumerate(range(0, len(own), 4 * capacity)):
+                            part = own[at : at + 4 * capacity]
+                            rows.append((ids[i + j], k, at // 4, len(part) // 4, zlib.crc32(part)))
+                if rows:
+                    c = list(zip(*rows, strict=True))
+                    yield pa.RecordBatch.from_arrays([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int32()), *(pa.array(x, pa.int64()) for x in c[2:])], names=["doc_id", "piece", "start", "length", "ids_crc32"])
 
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(encode, PIECES)
 
