@@ -483,3 +483,15 @@ def test_pipeline(spark):
     assert kept[4].count() == kept[3].count() and not [r for r in kept[4].collect() if secrets.base_spans(r["text"])]
     out = corpus_pipeline.run(spark, SF)
     assert {r["doc_id"] for r in out.select("doc_id").distinct().collect()} == {r["doc_id"] for r in kept[4].collect()}
+
+
+def test_packing_encoder_forgets_only_when_idle():
+    text = "Known chunks, and known chunks again"
+    e = packing.Encoder(public_tokenizers.path("word_bpe_49k.json"))
+    with e:
+        first = e([text])
+        e.forget()
+        assert e.ids
+    e.timer.cancel()
+    e.forget()
+    assert not e.ids and e([text]) == first == [e.encode(text)]
