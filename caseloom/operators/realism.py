@@ -1,4 +1,4 @@
-"""Registered queries: realism study, conversion, distributions, serving, retrieval and reconstruction baselines."""
+"""Registered queries: realism study, distributions, serving, retrieval and reconstruction baselines."""
 
 from __future__ import annotations
 
@@ -71,18 +71,6 @@ def comorbidity(t):
 d("q_comorbidity", comorbidity, "SELECT a, b, n AS both, round(n / (x.n1 + y.n1 - n), 6) AS jaccard FROM (SELECT p.dx_id AS a, q.dx_id AS b, count(*) AS n FROM patient_dx p JOIN patient_dx q ON p.patient_id = q.patient_id AND p.dx_id < q.dx_id GROUP BY 1, 2) JOIN (SELECT dx_id AS a, count(*) AS n1 FROM patient_dx GROUP BY 1) x USING (a) JOIN (SELECT dx_id AS b, count(*) AS n1 FROM patient_dx GROUP BY 1) y USING (b)")
 d("q_cohort_contrast", lambda t: chapters(t).withColumn("cohort", F.when(F.col("case_id") % 3 == 0, "ours").when(F.col("case_id") % 3 == 1, "source").otherwise("population")).groupBy("chapter").pivot("cohort", ["ours", "source", "population"]).count().fillna(0), f"SELECT chapter, count(*) FILTER (WHERE case_id % 3 = 0) AS ours, count(*) FILTER (WHERE case_id % 3 = 1) AS source, count(*) FILTER (WHERE case_id % 3 = 2) AS population FROM {CH} GROUP BY 1")
 
-# Conversion of foreign records.
-first = lambda t: t.src_case.withColumn("f", F.to_date(F.min("recorded_at").over(Window.partitionBy("subject_id"))))
-d("q_shift_dates", lambda t: first(t).select("case_id", F.date_add(F.lit("2020-01-01").cast("date"), (F.col("subject_id") % 365).cast("int") + F.datediff(F.to_date("recorded_at"), "f")).cast("string").alias("shifted")), "SELECT case_id, CAST(DATE '2020-01-01' + CAST(subject_id % 365 + date_diff('day', min(CAST(recorded_at AS DATE)) OVER (PARTITION BY subject_id), CAST(recorded_at AS DATE)) AS INTEGER) AS DATE)::VARCHAR AS shifted FROM src_case")
-d("q_convert_sections", lambda t: t.documents.select("doc_id", F.posexplode(F.split("text", "\n")).alias("ord", "line")).where("length(line) > 0").select("doc_id", "ord", F.when(F.col("line").rlike("[|]"), "table").when(F.col("line").rlike("(?i)licen"), "notice").otherwise("narrative").alias("stype")), "SELECT doc_id, CAST(i - 1 AS INT) AS ord, CASE WHEN contains(line, '|') THEN 'table' WHEN contains(lower(line), 'licen') THEN 'notice' ELSE 'narrative' END AS stype FROM (SELECT doc_id, i, parts[i] AS line FROM (SELECT doc_id, parts, unnest(range(1, len(parts) + 1)) AS i FROM (SELECT doc_id, string_split(text, chr(10)) AS parts FROM documents))) WHERE length(line) > 0")
-d("q_unmask", lambda t: t.conversations.select("conv_id", "turn", F.concat(F.lit("Dr. "), F.element_at(F.array(F.lit("Adler"), F.lit("Brook"), F.lit("Cole")), (F.col("conv_id") % 3 + 1).cast("int")), F.lit(" ("), "role", F.lit(")")).alias("provider")), "SELECT conv_id, turn, 'Dr. ' || (CASE conv_id % 3 WHEN 0 THEN 'Adler' WHEN 1 THEN 'Brook' ELSE 'Cole' END) || ' (' || role || ')' AS provider FROM conversations")
-d("q_expand_labs", lambda t: t.chart_section.where("stype = 'lab'").select("section_id", F.explode(F.split("body", "; ")).alias("name")).groupBy("section_id").agg(F.count("*").alias("n_lines")), "SELECT section_id, len(string_split(body, '; ')) AS n_lines FROM chart_section WHERE stype = 'lab'")
-d("q_expand_meds", lambda t: t.part.select("p_partkey", F.concat(F.col("p_name"), F.lit(" "), F.element_at(F.create_map(F.lit(0), F.lit("once daily"), F.lit(1), F.lit("twice daily"), F.lit(2), F.lit("three times daily")), (F.col("p_size") % 3).cast("int"))).alias("line")), "SELECT p_partkey, p_name || ' ' || (CASE p_size % 3 WHEN 0 THEN 'once daily' WHEN 1 THEN 'twice daily' ELSE 'three times daily' END) AS line FROM part")
-d("q_vitals_sentence", lambda t: t.src_case.select("case_id", F.concat(F.lit("Heart rate "), (60 + F.col("case_id") % 50).cast("string"), F.lit(" per minute.")).alias("line")), "SELECT case_id, 'Heart rate ' || (60 + case_id % 50) || ' per minute.' AS line FROM src_case")
-d("q_impression", lambda t: t.documents.select("doc_id", F.md5(F.element_at(F.split("text", "\n"), -1)).alias("impression")), "SELECT doc_id, md5(list_last(string_split(text, chr(10)))) AS impression FROM documents")
-d("q_harmonize_sections", lambda t: t.chart_section.groupBy("stype").agg(F.count_distinct(F.col("case_id") % 2).alias("arms")).where("arms = 2").select("stype"), "SELECT stype FROM chart_section GROUP BY 1 HAVING count(DISTINCT case_id % 2) = 2")
-d("q_budget_truncate", lambda t: t.chart_section.groupBy("case_id").agg(F.sum(F.length("body")).alias("n")).join(t.src_case, "case_id").withColumn("run", F.sum("n").over(Window.partitionBy("subject_id").orderBy("recorded_at", "case_id").rowsBetween(Window.unboundedPreceding, 0))).where("run <= 600").select("case_id"), "SELECT case_id FROM (SELECT case_id, sum(n) OVER (PARTITION BY subject_id ORDER BY recorded_at, case_id ROWS UNBOUNDED PRECEDING) AS run FROM (SELECT case_id, sum(length(body)) AS n FROM chart_section GROUP BY 1) JOIN src_case USING (case_id)) WHERE run <= 600")
-
 # Serving: resources, roles, tools.
 d("q_res_patient", lambda t: t.src_case.groupBy(F.concat(F.lit("Patient/"), F.col("subject_id").cast("string")).alias("id")).agg(F.max("sex").alias("gender"), F.count("*").alias("encounters")), "SELECT 'Patient/' || subject_id AS id, max(sex) AS gender, count(*) AS encounters FROM src_case GROUP BY 1")
 d("q_res_condition", lambda t: t.case_dx.join(F.broadcast(t.dx_node), "dx_id").select(F.concat(F.lit("Condition/"), F.col("case_id").cast("string"), F.lit("-"), F.col("dx_id").cast("string")).alias("id"), "code", "role"), "SELECT 'Condition/' || case_id || '-' || dx_id AS id, code, role FROM case_dx JOIN dx_node USING (dx_id)")

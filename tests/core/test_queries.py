@@ -8,7 +8,7 @@ from caseloom.operators import registry
 from caseloom.sources.tables import NAMES
 
 SF = "/root/testdata/sf0.001"
-KEYS = ["q_sev_f1_neutral", "q_finding_f1", "q_p_at_5", "q_mean_rank", "q_ground_cascade", "q_dx_links", "q_split_assign", "q_problem_carry", "q_jsd", "q_fleiss", "q_asof", "q_range_join", "q_session", "q_bm25", "q_cluster_invariants", "q_agent_effects", "q_rel_recall", "q_split_balance", "q_provenance_gaps"]
+KEYS = ["q_sev_f1_neutral", "q_finding_f1", "q_p_at_5", "q_mean_rank", "q_ground_cascade", "q_dx_links", "q_split_assign", "q_problem_carry", "q_jsd", "q_fleiss", "q_asof", "q_range_join", "q_session", "q_bm25", "q_cluster_invariants", "q_agent_effects", "q_rel_recall", "q_split_balance", "q_provenance_gaps", "q_convert_all", "q_convert_sections", "q_harmonize_sections", "q_shift_dates"]
 
 
 def rows(df):
