@@ -84,8 +84,11 @@ def arms(t):
     return C.harmonize(converted(t), X.house(t))
 
 
-day = F.col("visited").cast("string").alias("visited")
-q("q_convert_all", lambda t: converted(t).select("subject_id", "case_id", day, "ord", "stype", "body"), "SELECT subject_id, case_id, CAST(visited AS VARCHAR) AS visited, ord, stype, body FROM converted")
+def dated(f):
+    return f.withColumn("visited", F.col("visited").cast("string"))
+
+
+q("q_convert_all", lambda t: dated(converted(t)), "SELECT subject_id, case_id, CAST(visited AS VARCHAR) AS visited, ord, stype, body FROM converted")
 
 FOUND = [("Allergies", "TRUE"), ("Chief Complaint", "symptom IS NOT NULL"), ("History of Present Illness", "TRUE"), ("Past Medical History", "history IS NOT NULL"), ("Vitals", "TRUE"), ("Physical Exam", "sign IS NOT NULL")]
 FOUND += [("Pertinent Results", "lab IS NOT NULL"), ("Discharge Medications", "medication IS NOT NULL"), ("Discharge Diagnosis", "TRUE"), ("Followup Instructions", "TRUE")]
@@ -96,7 +99,7 @@ q(
     + " UNION ALL ".join(f"SELECT case_id, {i} AS o, '{x}' AS label FROM foreign_body WHERE {c}" for i, (x, c) in enumerate(FOUND))
     + ")",
 )
-q("q_shift_dates", lambda t: C.shifted(t.src_case).select("case_id", day, "inside"), "SELECT case_id, CAST(visited AS VARCHAR) AS visited, visited <= DATE '2024-12-31' AS inside FROM visit_date")
+q("q_shift_dates", lambda t: dated(C.shifted(t.src_case)).select("case_id", "visited", "inside"), "SELECT case_id, CAST(visited AS VARCHAR) AS visited, visited <= DATE '2024-12-31' AS inside FROM visit_date")
 q(
     "q_unmask",
     lambda t: labelled(t, "History of Present Illness").join(X.visits(t).select("case_id", "subject_id"), "case_id").select("case_id", C.unmask(F.col("body"), F.col("subject_id")).alias("body")),
