@@ -60,4 +60,9 @@ for f in ("json", "csv", "orc"):
     register(f"q_io_roundtrip_{f}", round_trip(f), "SELECT o_orderkey, o_custkey, o_orderpriority FROM orders")
 register("q_sink_partitioned", partitioned, "SELECT c_custkey FROM customer WHERE c_custkey % 5 = 0")
 register("q_udtf_sections", sections, "SELECT doc_id, CAST(i - 1 AS INT) AS ord, CASE WHEN contains(line, '|') THEN 'table' WHEN contains(lower(line), 'licen') THEN 'notice' ELSE 'narrative' END AS stype, CAST(length(line) AS INT) AS n FROM (SELECT doc_id, i, parts[i] AS line FROM (SELECT doc_id, parts, unnest(range(1, len(parts) + 1)) AS i FROM (SELECT doc_id, string_split(text, chr(10)) AS parts FROM documents))) WHERE length(line) > 0")
-register("q_udf_binom", binomials)
+LOG = "lgamma(101) - lgamma({0} + 1) - lgamma(101 - {0}) + 100 * ln(0.5)"
+register(
+    "q_udf_binom",
+    binomials,
+    f"SELECT k, round(least(1.0, sum(exp({LOG.format('i')})) FILTER (WHERE {LOG.format('i')} <= {LOG.format('k')} + 1e-9)), 9) AS p FROM range(1, 101) AS a(k), range(0, 101) AS b(i) GROUP BY k",
+)

@@ -36,9 +36,29 @@ d("q_fleiss", lambda t: X.fleiss_kappa(judgments(t)), f"SELECT round((po - pe) /
 PT = f"(SELECT rater, avg({H}) FILTER (WHERE truth = 0) - avg({H}) FILTER (WHERE truth = 1) AS diff FROM {J} GROUP BY 1)"
 paired = lambda t: judgments(t).groupBy("rater").agg((F.avg(F.expr(f"CASE WHEN truth = 0 THEN {HIT} END")) - F.avg(F.expr(f"CASE WHEN truth = 1 THEN {HIT} END"))).alias("diff"))
 d("q_paired_t", lambda t: paired(t).agg(F.round(F.avg("diff") / (F.stddev_samp("diff") / F.sqrt(F.count("*"))), 6).alias("t"), (F.count("*") - 1).alias("df")), f"SELECT round(avg(diff) / (stddev_samp(diff) / sqrt(count(*))), 6) AS t, count(*) - 1 AS df FROM {PT}")
-per_rater = lambda t: judgments(t).groupBy("rater").agg(F.sum(F.expr(HIT)).alias("k"), F.count("*").alias("n")).select("rater", F.round(X.binom_p("k", "n"), 9).alias("p"))
-d("q_binom", per_rater)
-d("q_holm", lambda t: X.holm(t.spark.range(1, 11).select(F.col("id").alias("rater"), ((F.col("id") * 7 % 10 + 1) / 100.0).alias("p"))).select("rater", F.round("adjusted", 6).alias("adjusted")), "SELECT rater, round(least(1.0, max(s) OVER (ORDER BY p, rater ROWS UNBOUNDED PRECEDING)), 6) AS adjusted FROM (SELECT r AS rater, p, p * (10 - row_number() OVER (ORDER BY p, r) + 1) AS s FROM (SELECT r, (r*7 % 10 + 1) / 100.0 AS p FROM range(1, 11) AS x(r)))")
+
+
+def per_rater(t):
+    """(rater, p): two-sided binomial test of a rater's right calls against chance."""
+    return judgments(t).groupBy("rater").agg(F.sum(F.expr(HIT)).alias("k"), F.count("*").alias("n")).select("rater", X.binom_p("k", "n").alias("p"))
+
+
+LOG = "lgamma(n + 1) - lgamma({0} + 1) - lgamma(n - {0} + 1) + n * ln(0.5)"
+
+
+def binom_sql(key, counts):
+    """The same test in SQL: the outcomes that are no likelier than ``k`` of ``n``."""
+    logs = f"SELECT {key}, {LOG.format('i')} AS l, {LOG.format('k')} AS lk FROM (SELECT {key}, k, n, unnest(range(0, n + 1)) AS i FROM ({counts}))"
+    return f"SELECT {key}, least(1.0, sum(exp(l)) FILTER (WHERE l <= lk + 1e-9)) AS p FROM (SELECT {key}, l, lk FROM ({logs})) GROUP BY 1"
+
+
+RATER_P = binom_sql("rater", f"SELECT rater, CAST(sum({H}) AS BIGINT) AS k, count(*) AS n FROM {J} GROUP BY 1")
+d("q_binom", lambda t: per_rater(t).select("rater", F.round("p", 9).alias("p")), f"SELECT rater, round(p, 9) AS p FROM ({RATER_P})")
+d(
+    "q_holm",
+    lambda t: X.holm(per_rater(t)).select("rater", F.round("adjusted", 6).alias("adjusted")),
+    f"SELECT rater, round(least(1.0, max(s) OVER (ORDER BY p, rater ROWS UNBOUNDED PRECEDING)), 6) AS adjusted FROM (SELECT rater, p, p * (count(*) OVER () - row_number() OVER (ORDER BY p, rater) + 1) AS s FROM ({RATER_P}))",
+)
 d("q_bootstrap_ci", lambda t: X.bootstrap_ci(judgments(t).withColumn("hit", F.expr(HIT)).select(F.struct("rater", "record_id").alias("id"), "hit"), "hit", 200))
 d("q_rater_order", lambda t: t.labels.crossJoin(F.broadcast(t.spark.range(1, 11).withColumnRenamed("id", "rater"))).select("rater", "doc_id", F.row_number().over(Window.partitionBy("rater").orderBy((F.col("doc_id") * 7919 + F.col("rater") * 104729) % 10007, "doc_id")).cast("long").alias("place")), "SELECT r AS rater, doc_id, row_number() OVER (PARTITION BY r ORDER BY (doc_id*7919 + r*104729) % 10007, doc_id) AS place FROM labels, range(1, 11) AS x(r)")
 
@@ -75,7 +95,7 @@ d("q_cohort_contrast", lambda t: chapters(t).withColumn("cohort", F.when(F.col("
 d("q_res_patient", lambda t: t.src_case.groupBy(F.concat(F.lit("Patient/"), F.col("subject_id").cast("string")).alias("id")).agg(F.max("sex").alias("gender"), F.count("*").alias("encounters")), "SELECT 'Patient/' || subject_id AS id, max(sex) AS gender, count(*) AS encounters FROM src_case GROUP BY 1")
 d("q_res_condition", lambda t: t.case_dx.join(F.broadcast(t.dx_node), "dx_id").select(F.concat(F.lit("Condition/"), F.col("case_id").cast("string"), F.lit("-"), F.col("dx_id").cast("string")).alias("id"), "code", "role"), "SELECT 'Condition/' || case_id || '-' || dx_id AS id, code, role FROM case_dx JOIN dx_node USING (dx_id)")
 d("q_res_observation", lambda t: t.case_finding.join(t.finding_node.where("kind = 'lab'"), "finding_id").select(F.concat(F.lit("Observation/"), F.col("case_id").cast("string"), F.lit("-"), F.col("finding_id").cast("string")).alias("id"), "term"), "SELECT 'Observation/' || case_id || '-' || finding_id AS id, term FROM case_finding JOIN finding_node USING (finding_id) WHERE kind = 'lab'")
-d("q_res_bundle", lambda t: t.src_case.select(F.col("subject_id"), F.struct("case_id", "acuity").alias("e")).groupBy("subject_id").agg(F.to_json(F.array_sort(F.collect_list("e"))).alias("bundle")))
+d("q_res_bundle", lambda t: t.src_case.select(F.col("subject_id"), F.struct("case_id", "acuity").alias("e")).groupBy("subject_id").agg(F.to_json(F.array_sort(F.collect_list("e"))).alias("bundle")), "SELECT subject_id, CAST(to_json(list({'case_id': case_id, 'acuity': acuity} ORDER BY case_id)) AS VARCHAR) AS bundle FROM src_case GROUP BY 1")
 ROLES = [("clinician", "Condition"), ("clinician", "Observation"), ("billing", "Condition")]
 d("q_rbac_rows", lambda t: t.case_dx.select(F.lit("Condition").alias("kind"), "case_id").unionByName(t.case_finding.select(F.lit("Observation").alias("kind"), "case_id")).crossJoin(F.broadcast(t.spark.createDataFrame([("billing",), ("clinician",)], "role string"))).join(F.broadcast(t.spark.createDataFrame(ROLES, "role string, kind string")), ["role", "kind"], "left_semi").groupBy("role", "kind").agg(F.count("*").alias("n")), "SELECT role, kind, count(*) AS n FROM (SELECT 'Condition' AS kind FROM case_dx UNION ALL SELECT 'Observation' FROM case_finding) JOIN (VALUES ('clinician','Condition'),('clinician','Observation'),('billing','Condition')) AS p(role, kind) USING (kind) GROUP BY 1, 2")
 d("q_rbac_mask", lambda t: t.src_case.select("case_id", F.lit("***").alias("age_years"), "sex"), "SELECT case_id, '***' AS age_years, sex FROM src_case")
@@ -105,8 +125,8 @@ words = lambda c: F.filter(F.split(F.lower(c), "[^a-z]+"), lambda x: F.length(x)
 
 def bm25(t, k1=1.2, b=0.75, idf_only=False, k=10):
     """Inverted index by one shuffle on terms; only query terms are joined."""
-    q = t.benchmark.where("item_id < 20").select("item_id", F.explode(F.array_distinct(words("text"))).alias("term"))
-    tf = t.documents.select("doc_id", F.explode(words("text")).alias("term")).join(F.broadcast(q.select("term").distinct()), "term", "left_semi").groupBy("doc_id", "term").agg(F.count("*").alias("tf"))
+    q = t.benchmark.select("item_id", F.explode(F.array_distinct(words("text"))).alias("term"))
+    tf = t.documents.select("doc_id", F.explode(words("text")).alias("term")).join(q.select("term").distinct(), "term", "left_semi").groupBy("doc_id", "term").agg(F.count("*").alias("tf"))
     size = t.documents.select("doc_id", F.size(words("text")).alias("len"))
     total = size.agg(F.count("*").alias("n"), F.avg("len").alias("mean"))
     df = tf.groupBy("term").agg(F.count("*").alias("df"))
@@ -117,11 +137,11 @@ def bm25(t, k1=1.2, b=0.75, idf_only=False, k=10):
 
 
 WD = "list_filter(string_split_regex(lower(text), '[^a-z]+'), lambda x: length(x) > 0)"
-BM = f"WITH q AS (SELECT DISTINCT item_id, unnest({WD}) AS term FROM benchmark WHERE item_id < 20), tf AS (SELECT doc_id, term, count(*) AS tf FROM (SELECT doc_id, unnest({WD}) AS term FROM documents) WHERE term IN (SELECT term FROM q) GROUP BY 1, 2), size AS (SELECT doc_id, len({WD}) AS len FROM documents), total AS (SELECT count(*) AS n, avg(len) AS mean FROM size), df AS (SELECT term, count(*) AS df FROM tf GROUP BY 1) SELECT item_id, doc_id, score, rank FROM (SELECT *, row_number() OVER (PARTITION BY item_id ORDER BY score DESC, doc_id) AS rank FROM (SELECT item_id, doc_id, round(sum({{}}), 4) AS score FROM q JOIN tf USING (term) JOIN df USING (term) JOIN size USING (doc_id), total GROUP BY 1, 2)) WHERE rank <= 10"
+BM = f"WITH q AS (SELECT DISTINCT item_id, unnest({WD}) AS term FROM benchmark), tf AS (SELECT doc_id, term, count(*) AS tf FROM (SELECT doc_id, unnest({WD}) AS term FROM documents) WHERE term IN (SELECT term FROM q) GROUP BY 1, 2), size AS (SELECT doc_id, len({WD}) AS len FROM documents), total AS (SELECT count(*) AS n, avg(len) AS mean FROM size), df AS (SELECT term, count(*) AS df FROM tf GROUP BY 1) SELECT item_id, doc_id, score, rank FROM (SELECT *, row_number() OVER (PARTITION BY item_id ORDER BY score DESC, doc_id) AS rank FROM (SELECT item_id, doc_id, round(sum({{}}), 4) AS score FROM q JOIN tf USING (term) JOIN df USING (term) JOIN size USING (doc_id), total GROUP BY 1, 2)) WHERE rank <= 10"
 IDF = "ln(1 + (n - df + 0.5) / (df + 0.5))"
 d("q_bm25", bm25, BM.format(f"{IDF} * tf * 2.2 / (tf + 1.2 * (1 - 0.75 + 0.75 * len / mean))"))
 d("q_tfidf", lambda t: bm25(t, idf_only=True), BM.format(f"tf * {IDF}"))
-d("q_overlap_rank", lambda t: t.benchmark.where("item_id < 20").select("item_id", F.explode(F.array_distinct(words("text"))).alias("term")).join(t.documents.select("doc_id", F.explode(F.array_distinct(words("text"))).alias("term")), "term").groupBy("item_id", "doc_id").agg(F.count("*").alias("score")).withColumn("rank", F.row_number().over(Window.partitionBy("item_id").orderBy(F.desc("score"), "doc_id")).cast("long")).where("rank <= 10"), f"SELECT item_id, doc_id, score, rank FROM (SELECT *, row_number() OVER (PARTITION BY item_id ORDER BY score DESC, doc_id) AS rank FROM (SELECT item_id, doc_id, count(*) AS score FROM (SELECT DISTINCT item_id, unnest({WD}) AS term FROM benchmark WHERE item_id < 20) JOIN (SELECT DISTINCT doc_id, unnest({WD}) AS term FROM documents) USING (term) GROUP BY 1, 2)) WHERE rank <= 10")
+d("q_overlap_rank", lambda t: t.benchmark.select("item_id", F.explode(F.array_distinct(words("text"))).alias("term")).join(t.documents.select("doc_id", F.explode(F.array_distinct(words("text"))).alias("term")), "term").groupBy("item_id", "doc_id").agg(F.count("*").alias("score")).withColumn("rank", F.row_number().over(Window.partitionBy("item_id").orderBy(F.desc("score"), "doc_id")).cast("long")).where("rank <= 10"), f"SELECT item_id, doc_id, score, rank FROM (SELECT *, row_number() OVER (PARTITION BY item_id ORDER BY score DESC, doc_id) AS rank FROM (SELECT item_id, doc_id, count(*) AS score FROM (SELECT DISTINCT item_id, unnest({WD}) AS term FROM benchmark) JOIN (SELECT DISTINCT doc_id, unnest({WD}) AS term FROM documents) USING (term) GROUP BY 1, 2)) WHERE rank <= 10")
 
 
 def cosine(t, k=5):
@@ -133,7 +153,14 @@ def cosine(t, k=5):
     return s.withColumn("rank", F.row_number().over(Window.partitionBy("q").orderBy(F.desc("cosine"), "vec_id")).cast("long")).where(F.col("rank") <= k)
 
 
-d("q_cosine_topk", cosine)
+DOT = "list_sum(list_transform(range(1, len({0}) + 1), lambda i: {0}[i] * {1}[i]))"
+VEC = "(SELECT vec_id, CAST(embedding AS DOUBLE[]) AS v FROM embeddings)"
+d(
+    "q_cosine_topk",
+    cosine,
+    "SELECT q, vec_id, cosine, rank FROM (SELECT *, row_number() OVER (PARTITION BY q ORDER BY cosine DESC, vec_id) AS rank FROM ("
+    f"SELECT a.vec_id AS q, b.vec_id, round({DOT.format('b.v', 'a.v')} / sqrt({DOT.format('b.v', 'b.v')} * {DOT.format('a.v', 'a.v')}), 6) AS cosine FROM {VEC} a JOIN {VEC} b ON a.vec_id % 100 = 0 AND a.vec_id <> b.vec_id)) WHERE rank <= 5",
+)
 d("q_recency_rank", lambda t: t.src_case.select("subject_id", "case_id", F.row_number().over(Window.partitionBy("subject_id").orderBy(F.desc("recorded_at"), "case_id")).cast("long").alias("rank")).where("rank <= 5"), "SELECT subject_id, case_id, rank FROM (SELECT subject_id, case_id, row_number() OVER (PARTITION BY subject_id ORDER BY recorded_at DESC, case_id) AS rank FROM src_case) WHERE rank <= 5")
 
 

@@ -68,7 +68,7 @@ s("q_str_codes", "SELECT s_suppkey, lpad(CAST(s_suppkey AS VARCHAR), 6, '0') AS
 s("q_str_regex", "SELECT doc_id, regexp_extract(text, '([0-9]+)', 1) AS num, length(regexp_replace(text, '[0-9]', '', 'g')) AS rest FROM documents WHERE regexp_matches(text, '[0-9]')", r"SELECT doc_id, regexp_extract(text, '([0-9]+)', 1) AS num, length(regexp_replace(text, '[0-9]', '')) AS rest FROM documents WHERE text RLIKE '[0-9]'")
 s("q_str_distance", "SELECT a.p_partkey, levenshtein(a.p_name, b.p_name) AS dist FROM part a JOIN part b ON b.p_partkey = a.p_partkey + 1")
 s("q_str_contains", "SELECT doc_id, item_id FROM documents d JOIN benchmark b ON contains(d.text, b.text)")
-d("q_url_parts", lambda t: t.pages.select("page_id", F.parse_url("url", F.lit("HOST")).alias("host"), F.length(F.regexp_replace("html", "<[^>]*>", "")).alias("n")))
+d("q_url_parts", lambda t: t.pages.select("page_id", F.parse_url("url", F.lit("HOST")).alias("host"), F.length(F.regexp_replace("html", "<[^>]*>", "")).alias("n")), "SELECT page_id, regexp_extract(url, '^[a-z]+://([^/:?#]+)', 1) AS host, CAST(length(regexp_replace(html, '<[^>]*>', '', 'g')) AS INTEGER) AS n FROM pages")
 s("q_date_trunc_month", "SELECT CAST(CAST(date_trunc('month', o_orderdate) AS DATE) AS VARCHAR) AS m, count(*) AS n FROM orders GROUP BY 1", "SELECT CAST(CAST(date_trunc('MONTH', o_orderdate) AS DATE) AS STRING) AS m, count(*) AS n FROM orders GROUP BY 1")
 s("q_date_gap", "SELECT o_custkey, max(date_diff('day', CAST(prev AS DATE), CAST(o_orderdate AS DATE))) AS gap FROM (SELECT o_custkey, o_orderdate, lag(o_orderdate) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS prev FROM orders) GROUP BY 1", "SELECT o_custkey, max(datediff(CAST(o_orderdate AS DATE), CAST(prev AS DATE))) AS gap FROM (SELECT o_custkey, o_orderdate, lag(o_orderdate) OVER (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey) AS prev FROM orders) GROUP BY 1")
 s("q_date_add", "SELECT o_orderkey, CAST(CAST(CAST(o_orderdate AS DATE) + INTERVAL 30 DAY AS DATE) AS VARCHAR) AS due FROM orders", "SELECT o_orderkey, CAST(date_add(CAST(o_orderdate AS DATE), 30) AS STRING) AS due FROM orders")
