@@ -8,7 +8,10 @@ from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 
 from ..functions import stats as X
+from ..plans.oracle import sql
+from ..sources.bundles import BundleSource
 from ..sources.tables import Tables
+from ..streaming import twins
 from .registry import register
 
 
@@ -52,6 +55,15 @@ def sections(spark, sf_dir):
     return spark.sql("SELECT doc_id, s.ord, s.stype, s.n FROM _texts, LATERAL sections_of(text) AS s")
 
 
+def bundles(spark, sf_dir):
+    """Patients' encounters written as NDJSON resources and read back by the Python data source, a task for each file."""
+    t, path = Tables(spark, sf_dir), folder(spark)
+    body = F.struct(F.col("case_id").alias("encounter"), F.col("acuity"))
+    t.src_case.select(F.lit("Encounter").alias("kind"), F.col("case_id").cast("string").alias("id"), body.alias("body")).write.json(path)
+    spark.dataSource.register(BundleSource)
+    return spark.read.format("bundle").option("files", ",".join(spark.read.text(path).inputFiles())).load()
+
+
 def binomials(spark, sf_dir):
     return spark.range(1, 101).select(F.col("id").alias("k"), F.round(X.binom_p("id", F.lit(100)), 9).alias("p"))
 
@@ -66,3 +78,9 @@ register(
     binomials,
     f"SELECT k, round(least(1.0, sum(exp({LOG.format('i')})) FILTER (WHERE {LOG.format('i')} <= {LOG.format('k')} + 1e-9)), 9) AS p FROM range(1, 101) AS a(k), range(0, 101) AS b(i) GROUP BY k",
 )
+register(
+    "q_ds_bundle",
+    bundles,
+    sql("SELECT 'Encounter' AS kind, CAST(case_id AS VARCHAR) AS id, CAST(to_json({'encounter': case_id, 'acuity': acuity}) AS VARCHAR) AS body FROM src_case"),
+)
+register("q_stream_twin_tumbling", twins.tumbling, "SELECT event_type, CAST(CAST(date_trunc('day', ts) AS DATE) AS VARCHAR) AS day, count(*) AS n FROM events GROUP BY 1, 2")

@@ -1,11 +1,12 @@
 """A Python data source of served resources: NDJSON files of flat records, a partition for each file.
 
 ``spark.dataSource.register(BundleSource)``; then ``spark.read.format("bundle").option("files", "a,b").load()``.
-Files are opened where a task runs, so their folder has to be shared.
+Files are opened where a task runs, by path or URI of a file system that Arrow knows, so their folder has to be shared.
 """
 
 from __future__ import annotations
 
+import io
 import json
 from collections.abc import Iterator
 
@@ -25,10 +26,13 @@ class _Reader(DataSourceReader):
         return [_File(f) for f in self.files]
 
     def read(self, partition: _File) -> Iterator[tuple]:
-        with open(partition.path) as f:
+        from pyarrow import fs
+
+        system, path = fs.FileSystem.from_uri(partition.path)
+        with io.TextIOWrapper(system.open_input_stream(path), encoding="utf-8") as f:
             for line in f:
                 r = json.loads(line)
-                yield r["kind"], r["id"], json.dumps(r.get("body"))
+                yield r["kind"], r["id"], json.dumps(r.get("body"), separators=(",", ":"), ensure_ascii=False)
 
 
 class BundleSource(DataSource):
