@@ -91,7 +91,7 @@ def comorbidity(t):
 d("q_comorbidity", comorbidity, "SELECT a, b, n AS both, round(n / (x.n1 + y.n1 - n), 6) AS jaccard FROM (SELECT p.dx_id AS a, q.dx_id AS b, count(*) AS n FROM patient_dx p JOIN patient_dx q ON p.patient_id = q.patient_id AND p.dx_id < q.dx_id GROUP BY 1, 2) JOIN (SELECT dx_id AS a, count(*) AS n1 FROM patient_dx GROUP BY 1) x USING (a) JOIN (SELECT dx_id AS b, count(*) AS n1 FROM patient_dx GROUP BY 1) y USING (b)")
 d("q_cohort_contrast", lambda t: chapters(t).withColumn("cohort", F.when(F.col("case_id") % 3 == 0, "ours").when(F.col("case_id") % 3 == 1, "source").otherwise("population")).groupBy("chapter").pivot("cohort", ["ours", "source", "population"]).count().fillna(0), f"SELECT chapter, count(*) FILTER (WHERE case_id % 3 = 0) AS ours, count(*) FILTER (WHERE case_id % 3 = 1) AS source, count(*) FILTER (WHERE case_id % 3 = 2) AS population FROM {CH} GROUP BY 1")
 
-# Serving: resources, roles, tools.
+# Serving: resources and roles.
 d("q_res_patient", lambda t: t.src_case.groupBy(F.concat(F.lit("Patient/"), F.col("subject_id").cast("string")).alias("id")).agg(F.max("sex").alias("gender"), F.count("*").alias("encounters")), "SELECT 'Patient/' || subject_id AS id, max(sex) AS gender, count(*) AS encounters FROM src_case GROUP BY 1")
 d("q_res_condition", lambda t: t.case_dx.join(F.broadcast(t.dx_node), "dx_id").select(F.concat(F.lit("Condition/"), F.col("case_id").cast("string"), F.lit("-"), F.col("dx_id").cast("string")).alias("id"), "code", "role"), "SELECT 'Condition/' || case_id || '-' || dx_id AS id, code, role FROM case_dx JOIN dx_node USING (dx_id)")
 d("q_res_observation", lambda t: t.case_finding.join(t.finding_node.where("kind = 'lab'"), "finding_id").select(F.concat(F.lit("Observation/"), F.col("case_id").cast("string"), F.lit("-"), F.col("finding_id").cast("string")).alias("id"), "term"), "SELECT 'Observation/' || case_id || '-' || finding_id AS id, term FROM case_finding JOIN finding_node USING (finding_id) WHERE kind = 'lab'")
@@ -99,25 +99,6 @@ d("q_res_bundle", lambda t: t.src_case.select(F.col("subject_id"), F.struct("cas
 ROLES = [("clinician", "Condition"), ("clinician", "Observation"), ("billing", "Condition")]
 d("q_rbac_rows", lambda t: t.case_dx.select(F.lit("Condition").alias("kind"), "case_id").unionByName(t.case_finding.select(F.lit("Observation").alias("kind"), "case_id")).crossJoin(F.broadcast(t.spark.createDataFrame([("billing",), ("clinician",)], "role string"))).join(F.broadcast(t.spark.createDataFrame(ROLES, "role string, kind string")), ["role", "kind"], "left_semi").groupBy("role", "kind").agg(F.count("*").alias("n")), "SELECT role, kind, count(*) AS n FROM (SELECT 'Condition' AS kind FROM case_dx UNION ALL SELECT 'Observation' FROM case_finding) JOIN (VALUES ('clinician','Condition'),('clinician','Observation'),('billing','Condition')) AS p(role, kind) USING (kind) GROUP BY 1, 2")
 d("q_rbac_mask", lambda t: t.src_case.select("case_id", F.lit("***").alias("age_years"), "sex"), "SELECT case_id, '***' AS age_years, sex FROM src_case")
-PID = 42
-
-
-def tool(name, fn, text):
-    d(f"q_tool_{name}", fn, text)
-
-
-mine = lambda t: t.src_case.where(F.col("subject_id") == PID)
-tool("find_patient", lambda t: t.customer.where(F.col("c_custkey") == PID).select("c_custkey", "c_name"), f"SELECT c_custkey, c_name FROM customer WHERE c_custkey = {PID}")
-tool("get_profile", lambda t: mine(t).agg(F.count("*").alias("encounters"), F.max("sex").alias("sex")), f"SELECT count(*) AS encounters, max(sex) AS sex FROM src_case WHERE subject_id = {PID}")
-tool("list_encounters", lambda t: mine(t).select("case_id", "acuity"), f"SELECT case_id, acuity FROM src_case WHERE subject_id = {PID}")
-tool("get_encounter", lambda t: mine(t).orderBy("case_id").limit(1).select("case_id", "setting"), f"SELECT case_id, setting FROM src_case WHERE subject_id = {PID} ORDER BY case_id LIMIT 1")
-tool("list_sections", lambda t: t.chart_section.join(mine(t).select("case_id"), "case_id", "left_semi").select("section_id", "stype"), f"SELECT section_id, stype FROM chart_section WHERE case_id IN (SELECT case_id FROM src_case WHERE subject_id = {PID})")
-tool("get_section", lambda t: t.chart_section.join(mine(t).select("case_id"), "case_id", "left_semi").orderBy("section_id").limit(1).select("section_id", "body"), f"SELECT section_id, body FROM chart_section WHERE case_id IN (SELECT case_id FROM src_case WHERE subject_id = {PID}) ORDER BY section_id LIMIT 1")
-tool("search_notes", lambda t: t.documents.where(F.col("text").contains("License")).select("doc_id"), "SELECT doc_id FROM documents WHERE contains(text, 'License')")
-tool("list_problems", lambda t: t.case_dx.join(mine(t), "case_id").select("dx_id").distinct(), f"SELECT DISTINCT dx_id FROM case_dx JOIN src_case USING (case_id) WHERE subject_id = {PID}")
-for name, kind in (("list_medications", "medication"), ("get_labs", "lab"), ("list_imaging", "imaging")):
-    tool(name, lambda t, kind=kind: t.case_finding.join(mine(t), "case_id").join(t.finding_node.where(F.col("kind") == kind), "finding_id").select("case_id", "term").distinct(), f"SELECT DISTINCT case_id, term FROM case_finding JOIN src_case USING (case_id) JOIN finding_node USING (finding_id) WHERE subject_id = {PID} AND kind = '{kind}'")
-tool("list_findings", lambda t: t.case_finding.join(mine(t), "case_id").select("case_id", "finding_id", "relevance"), f"SELECT case_id, finding_id, relevance FROM case_finding JOIN src_case USING (case_id) WHERE subject_id = {PID}")
 
 # Executable baselines: rankers of documents for benchmark items, reconstructors, summarizers.
 words = lambda c: F.filter(F.split(F.lower(c), "[^a-z]+"), lambda x: F.length(x) > 0)

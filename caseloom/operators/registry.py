@@ -10,7 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 _QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
 _SQL: dict[str, str] = {}
 #: Modules that register queries when imported.
-MODULES = ["caseloom.operators.scoring", "caseloom.operators.construct", "caseloom.operators.surface", "caseloom.operators.realism", "caseloom.operators.conversion", "caseloom.operators.io"]
+MODULES = ["caseloom.operators.scoring", "caseloom.operators.construct", "caseloom.operators.surface", "caseloom.operators.realism", "caseloom.operators.conversion", "caseloom.operators.serving", "caseloom.operators.io"]
 
 
 def register(key: str, fn: Callable[[SparkSession, str], DataFrame], sql: str | None = None) -> None:
