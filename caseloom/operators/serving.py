@@ -52,4 +52,14 @@ def answers(name):
 
 for name, text in TWINS.items():
     register(f"q_tool_{name}", answers(name), sql(text))
-register("q_tool_registry", lambda spark, sf_dir: spark.createDataFrame(T.described(), "tool string, place int, argument string, type string"))
+
+
+def described(spark, sf_dir):
+    """Every argument of every tool, and in how many calls of the log it is given."""
+    log = calls(Tables(spark, sf_dir))
+    given = log.agg(*[F.count(c).alias(c) for c in log.columns]).unpivot([], log.columns, "argument", "calls")
+    return spark.createDataFrame(T.described(), "tool string, place int, argument string, type string").join(given, "argument").select("tool", "place", "argument", "type", "calls")
+
+
+GIVEN = "(SELECT count(*) AS calls FROM (SELECT DISTINCT user_id FROM events) JOIN (SELECT DISTINCT o_custkey FROM orders) ON user_id = o_custkey)"
+register("q_tool_registry", described, f"SELECT tool, CAST(place AS INT) AS place, argument, type, calls FROM (VALUES {', '.join(map(str, T.described()))}) AS d(tool, place, argument, type), {GIVEN}")
