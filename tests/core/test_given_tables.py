@@ -8,7 +8,7 @@ from caseloom.operators import registry, scoring
 from caseloom.sources.tables import NAMES
 
 SF = "/root/testdata/sf0.001"
-KEYS = ["q_coverage", "q_published_agent_effects", "q_published_mean_rank", "q_tool_registry"]
+KEYS = ["q_coverage", "q_published_agent_effects", "q_published_mean_rank", "q_tool_registry", "q_udf_binom"]
 
 
 def rows(df):
