@@ -12,10 +12,12 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..plans.checkpoint import durable
+from ..plans.checkpoint import Packed, drop, durable
 from ..sources.tables import TOLERANCE, age_bucket
 
 WIDTH = max(TOLERANCE.values())
+#: Rows of cases and their diagnoses from which blocks are clustered one after another.
+SPLIT_FROM = 2_000_000
 
 
 def eligible(cases: DataFrame, case_dx: DataFrame) -> DataFrame:
@@ -32,38 +34,64 @@ def compatible_pairs(cases: DataFrame, case_dx: DataFrame) -> DataFrame:
 
 def case_edges(cases: DataFrame, case_dx: DataFrame, fanout: int = 8) -> DataFrame:
     """Edges (x, y, shared): within each diagnosis of a block, a case meets the next ``fanout`` in order of age, so a common diagnosis has no quadratic number of pairs."""
+    return edges_of(eligible(cases, case_dx), fanout)
+
+
+def edges_of(rows: DataFrame, fanout: int) -> DataFrame:
     w = Window.partitionBy("sex", "bucket", "dx_id").orderBy("age_years", "case_id")
-    rows = eligible(cases, case_dx)
     steps = F.array(*[F.struct(F.lead("case_id", k).over(w).alias("y"), F.lead("age_years", k).over(w).alias("ay")) for k in range(1, fanout + 1)])
     rows = rows.withColumn("_steps", steps).withColumn("n", F.explode("_steps")).where(F.col("n.y").isNotNull() & (F.col("n.ay") - F.col("age_years") <= WIDTH))
     return rows.groupBy(F.least("case_id", F.col("n.y")).alias("x"), F.greatest("case_id", F.col("n.y")).alias("y")).agg(F.count("*").alias("shared"))
 
 
-def cluster(cases: DataFrame, case_dx: DataFrame, *, max_cases: int = 5, fanout: int = 8, max_rounds: int = 8) -> DataFrame:
+def cluster(cases: DataFrame, case_dx: DataFrame, *, max_cases: int = 5, fanout: int = 8, max_rounds: int = 8, split_from: int = SPLIT_FROM) -> DataFrame:
     """(case_id, patient_id): rounds in which each cluster proposes to its best neighbour and mutual proposals merge.
 
     The order of neighbours is symmetric in the pair and different in each round: shared
     diagnoses, then a hash of the pair.  Rounds stop when nothing merges, or after
     ``max_rounds``, which leaves valid, smaller clusters.
+
+    No edge leaves its block of sex and age bucket.  From ``split_from`` rows on, the blocks are clustered one after another,
+    with the same result, and what a round leaves is cleared, so the disk holds the edges of one block at a time.
     """
-    edges = durable(case_edges(cases, case_dx, fanout))
-    of = durable(eligible(cases, case_dx).select("case_id", "age_years").distinct().withColumn("patient_id", F.col("case_id")))
+    all_rows = Packed(eligible(cases, case_dx))
+    blocks = sorted(all_rows.df.select("sex", "bucket").distinct().collect(), key=str) if all_rows.df.count() >= split_from else [None]
+    out = None
+    for b in blocks:
+        rows = all_rows.df if b is None else all_rows.df.where(F.col("sex").eqNullSafe(F.lit(b["sex"])) & F.col("bucket").eqNullSafe(F.lit(b["bucket"])))
+        of = merged(rows, max_cases, fanout, max_rounds)
+        out = of if out is None else out.unionByName(of)
+    drop(all_rows)
+    return out if out is not None else eligible(cases, case_dx).select("case_id", F.col("case_id").alias("patient_id"))
+
+
+def merged(rows: DataFrame, max_cases: int, fanout: int, max_rounds: int) -> DataFrame:
+    """The rounds over eligible rows; the result is durable."""
+    edges = Packed(edges_of(rows, fanout))
+    of = Packed(rows.select("case_id", "age_years").distinct().withColumn("patient_id", F.col("case_id")))
     for k in range(max_rounds):
-        size = of.groupBy("patient_id").agg(F.count("*").alias("n"), F.min("age_years").alias("lo"), F.max("age_years").alias("hi"))
+        size = of.df.groupBy("patient_id").agg(F.count("*").alias("n"), F.min("age_years").alias("lo"), F.max("age_years").alias("hi"))
         left = size.select(F.col("patient_id").alias("x"), F.col("n").alias("nx"), F.col("lo").alias("lx"), F.col("hi").alias("hx"))
         right = size.select(F.col("patient_id").alias("y"), F.col("n").alias("ny"), F.col("lo").alias("ly"), F.col("hi").alias("hy"))
-        fit = edges.join(left, "x").join(right, "y").where((F.col("nx") + F.col("ny") <= max_cases) & (F.greatest("hx", "hy") - F.least("lx", "ly") <= WIDTH))
+        fit = edges.df.join(left, "x").join(right, "y").where((F.col("nx") + F.col("ny") <= max_cases) & (F.greatest("hx", "hy") - F.least("lx", "ly") <= WIDTH))
         rank = F.struct(-F.col("shared"), F.xxhash64("x", "y", F.lit(k)), F.col("x"), F.col("y"))
         both = fit.select(F.col("x").alias("p"), rank.alias("r")).unionByName(fit.select(F.col("y").alias("p"), rank.alias("r")))
         best = both.groupBy("p").agg(F.min("r").alias("r"))
-        merge = durable(best.groupBy("r").agg(F.count("*").alias("n")).where("n = 2").select(F.col("r.y").alias("patient_id"), F.col("r.x").alias("_to")))
-        if merge.isEmpty():
+        merge = Packed(best.groupBy("r").agg(F.count("*").alias("n")).where("n = 2").select(F.col("r.y").alias("patient_id"), F.col("r.x").alias("_to")))
+        if merge.df.isEmpty():
+            drop(merge)
             break
-        to = lambda c: merge.select(F.col("patient_id").alias(c), F.col("_to").alias(f"_{c}"))
-        of = durable(of.join(merge, "patient_id", "left").select("case_id", "age_years", F.coalesce("_to", "patient_id").alias("patient_id")))
-        moved = edges.join(to("x"), "x", "left").join(to("y"), "y", "left").select(F.coalesce("_x", "x").alias("x"), F.coalesce("_y", "y").alias("y"), "shared").where("x <> y")
-        edges = durable(moved.groupBy(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y")).agg(F.sum("shared").alias("shared")))
-    return of.select("case_id", "patient_id")
+        to = lambda c, m=merge.df: m.select(F.col("patient_id").alias(c), F.col("_to").alias(f"_{c}"))
+        now = Packed(of.df.join(merge.df, "patient_id", "left").select("case_id", "age_years", F.coalesce("_to", "patient_id").alias("patient_id")))
+        moved = edges.df.join(to("x"), "x", "left").join(to("y"), "y", "left").select(F.coalesce("_x", "x").alias("x"), F.coalesce("_y", "y").alias("y"), "shared").where("x <> y")
+        left_over = Packed(moved.groupBy(F.least("x", "y").alias("x"), F.greatest("x", "y").alias("y")).agg(F.sum("shared").alias("shared")))
+        size = left = right = fit = both = best = moved = to = None
+        drop(merge, of, edges)
+        of, edges = now, left_over
+    size = left = right = fit = both = best = None
+    out = durable(of.df.select("case_id", "patient_id"))
+    drop(of, edges)
+    return out
 
 
 def invariants(clusters: DataFrame, cases: DataFrame, max_cases: int = 5) -> DataFrame:
